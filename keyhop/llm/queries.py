@@ -18,6 +18,24 @@ def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), WORD_BPE, max_tokens=2048)
 
 
+def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm import language_id as li
+
+    docs = table(spark, sf_dir, "documents")
+    held = docs.withColumn("held_out", li.held_out(docs))
+    model = li.train(held.where("not held_out"))
+    found = li.identify(docs, model)
+    return found.select("doc_id", li.held_out(found).alias("held_out"), "lang_pred", "score", "mixture")
+
+
+def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm import quality_classifier as qc
+
+    docs = table(spark, sf_dir, "documents")
+    model = qc.train(docs, table(spark, sf_dir, "labels"))
+    return qc.classify(docs, model).select("doc_id", qc.held_out().alias("held_out"), "score", "predicted")
+
+
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm.packing import pack
 
@@ -27,6 +45,8 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_token_counts": op2_token_counts,
+        "op4_language_id": op4_language_id,
+        "op9_quality_classifier": op9_quality_classifier,
         "op8_best_fit_packing": op8_best_fit_packing,
     }
 
