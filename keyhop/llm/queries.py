@@ -36,6 +36,20 @@ def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return qc.classify(docs, model).select("doc_id", qc.held_out().alias("held_out"), "score", "predicted")
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm import pii
+
+    docs = table(spark, sf_dir, "documents")
+    return pii.find(docs, pii.train(docs))
+
+
+def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm import secrets
+
+    docs = table(spark, sf_dir, "documents")
+    return secrets.scan(docs, secrets.train(docs))
+
+
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm.packing import pack
 
@@ -46,6 +60,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_token_counts": op2_token_counts,
         "op4_language_id": op4_language_id,
+        "op6_pii": op6_pii,
+        "op10_secrets": op10_secrets,
         "op9_quality_classifier": op9_quality_classifier,
         "op8_best_fit_packing": op8_best_fit_packing,
     }
