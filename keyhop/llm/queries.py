@@ -12,12 +12,24 @@ from keyhop.runtime import table
 WORD_BPE = public_tokenizers.path("word_bpe_49k.json")
 
 
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm.decontamination import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm.token_counts import token_counts
 
     return token_counts(table(spark, sf_dir, "documents"), WORD_BPE, max_tokens=2048)
 
 
+def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm.quality_rules import apply_rules
+
+    return apply_rules(table(spark, sf_dir, "documents"))
+
+
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm import language_id as li
 
@@ -58,7 +70,9 @@ def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_decontamination": op1_decontamination,
         "op2_token_counts": op2_token_counts,
+        "op3_quality_rules": op3_quality_rules,
         "op4_language_id": op4_language_id,
         "op6_pii": op6_pii,
         "op10_secrets": op10_secrets,
