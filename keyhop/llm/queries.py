@@ -48,6 +48,12 @@ def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return qc.classify(docs, model).select("doc_id", qc.held_out().alias("held_out"), "score", "predicted")
 
 
+def op5_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm.near_duplicates import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"), percent=80, width=2)
+
+
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm import pii
 
@@ -74,6 +80,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_token_counts": op2_token_counts,
         "op3_quality_rules": op3_quality_rules,
         "op4_language_id": op4_language_id,
+        "op5_near_duplicates": op5_near_duplicates,
         "op6_pii": op6_pii,
         "op10_secrets": op10_secrets,
         "op9_quality_classifier": op9_quality_classifier,
