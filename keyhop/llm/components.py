@@ -11,16 +11,17 @@ from keyhop.runtime import Scratch
 def components(edges: DataFrame, scratch: Scratch, label: str) -> DataFrame:
     """``node`` and ``component`` (the smallest node reachable) for every node of ``edges`` (columns ``a``, ``b``).
 
-    In each round every node joins the neighbour with the smallest pseudo-random priority, if that is
-    smaller than its own; edges are rewritten to the nodes joined, so their number falls by a constant
-    factor in expectation, on chains as on stars. Each round is an aggregation and joins of which Spark
+    In each round every node joins the neighbour with the smallest priority, if that is smaller than its
+    own, and edges are rewritten to the nodes joined. The first round's priority is the node itself,
+    which ends stars around their smallest node at once; later ones are pseudo-random, so that the
+    number of edges falls by a constant factor in expectation, on chains as on stars. Each round is an aggregation and joins of which Spark
     can split a skewed side; no neighbour list is gathered anywhere. Round results are written tables.
     """
     edges = scratch.save(edges.where(F.col("a") != F.col("b")).select("a", "b").distinct(), f"{label}-edges0")
     steps: list[DataFrame] = []
     while not edges.isEmpty():
         k = len(steps)
-        rank = lambda c: F.xxhash64(F.lit(f"round{k}"), F.col(c))  # noqa: B023, E731
+        rank = lambda c: F.xxhash64(F.lit(f"round{k}"), F.col(c)) if k else F.lit(0).cast("bigint")  # noqa: B023, E731
         both = edges.union(edges.select("b", "a"))
         best = both.groupBy("a").agg(F.min(F.struct(rank("b").alias("rank"), F.col("b").alias("to"))).alias("best"))
         own = F.struct(rank("a").alias("rank"), F.col("a").alias("to"))

@@ -11,7 +11,11 @@ and what passes is verified on the full sets.
 
 Large groups never become all their pairs. First every list is compared with its smallest member only;
 what is linked becomes one component. Then, for lists with several components left, the pairs across
-components are compared. Pairs within a component are never needed, as only reachability is asked for.
+components are compared where the list is short. The texts in what is left of long lists, which share
+a frequent passage, get new lists by prefix filtering: with values ordered by rarity among them, two
+linked sets share one of the first ninth of the smaller's and the first fifth of the larger's values,
+and a passage that many share comes last.
+Pairs within a component are never needed, as only reachability is asked for.
 """
 
 from __future__ import annotations
@@ -25,8 +29,10 @@ from keyhop.runtime import Scratch
 
 K = 64
 RUN = 3
-#: How far below the threshold the estimate from the union's sketch may be: six standard deviations.
-MARGIN = 0.3
+#: How far below the threshold the estimate from the union's sketch may be, in standard deviations.
+DEVIATIONS = 6
+#: Lists of up to so many members are compared pairwise; longer ones are split by prefix filtering.
+SHORT = 48
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -93,7 +99,10 @@ class Linker:
         sketch = lambda side: self.reps.select(F.col("rep").alias(side), F.col("n").alias(f"n{side}"), F.col("sketch").alias(f"s{side}"))
         known = pairs.join(sketch("a"), "a").join(sketch("b"), "b")
         guess = estimate(F.col("sa"), F.col("sb"))
-        passed = known.select("a", "b", "na", "nb", guess.alias("guess")).where(F.col("guess") >= self.percent / 100 - MARGIN)
+        share = self.percent / 100
+        union = F.least("na", "nb") / share  # the largest that a linked pair can have; it is sampled without replacement
+        deviation = F.sqrt(F.greatest(share * (1 - share) / K * (1 - (K - 1) / union), F.lit(0.0)))
+        passed = known.select("a", "b", "na", "nb", guess.alias("guess")).where(F.col("guess") >= share - DEVIATIONS * deviation - 1e-9)
         passed = self.scratch.save(passed, f"{label}-passed")
         full = (F.col("na") <= K) & (F.col("nb") <= K)  # then both sketches are the sets
         exact = passed.where(full & (F.round(F.col("guess") * 1e6) >= self.percent * 10_000)).select("a", "b")
@@ -108,6 +117,71 @@ class Linker:
         return self.scratch.save(exact.union(sure), f"{label}-links")
 
 
+def _placed(listed: DataFrame, groups: DataFrame | None) -> DataFrame:
+    """With column ``component``: that of ``groups``, or the representative itself."""
+    if groups is None:
+        return listed.withColumn("component", F.col("rep"))
+    return listed.join(groups.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+
+
+def _merged(groups: DataFrame | None, links: DataFrame, scratch: Scratch, label: str) -> DataFrame:
+    """``groups`` (``node``, ``component``) after adding ``links``."""
+    if groups is None:
+        return scratch.save(components(links, scratch, label), f"{label}-groups")
+    named = groups.select(F.col("node").alias("rep"), F.col("component").alias("c"))
+    ends = links.join(named.withColumnsRenamed({"rep": "a", "c": "ca"}), "a", "left").join(named.withColumnsRenamed({"rep": "b", "c": "cb"}), "b", "left")
+    ends = scratch.save(ends.select("a", "b", F.coalesce("ca", "a").alias("ca"), F.coalesce("cb", "b").alias("cb")), f"{label}-ends")
+    above = scratch.save(components(ends.select(F.col("ca").alias("a"), F.col("cb").alias("b")), scratch, label), f"{label}-above")
+    up = above.select(F.col("node").alias("c"), F.col("component").alias("top"))
+    both = groups.select("node", F.col("component").alias("c")).union(ends.select("a", "ca")).union(ends.select("b", "cb")).distinct()
+    return scratch.save(both.join(up, "c", "left").select("node", F.coalesce("top", "c").alias("component")), f"{label}-groups")
+
+
+def _compare(keyed: DataFrame, groups: DataFrame | None, linker: Linker, scratch: Scratch, label: str, short: int | None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Compare what shares a list (``key``, ``rep``, ``n``): stars, then pairs across components.
+
+    ``rest`` bounds what a set can share with another whose first common key this is; ``small`` marks
+    the rows that can be the smaller set of a pair. Returns the components, the last links, and the ids (``rep``) in lists longer than ``short`` that
+    still hold several components.
+    """
+    heads = keyed.groupBy("key").agg(F.min(F.when(F.col("small"), F.struct("rep", "n"))).alias("head"), F.min("rep").alias("first"), F.max("rep").alias("last")).where(F.col("head").isNotNull() & (F.col("first") < F.col("last")))
+    listed = keyed.join(heads.select("key", F.col("head.rep").alias("head"), F.col("head.n").alias("head_n")), "key")
+    listed = scratch.save(listed, f"{label}-lists")
+    stars = listed.where((F.col("rep") != F.col("head")) & similar_size("n", "head_n", linker.percent)).select(F.least("head", "rep").alias("a"), F.greatest("head", "rep").alias("b")).distinct()
+    groups = _merged(groups, linker.links(stars, f"{label}-stars"), scratch, f"{label}-stars")
+    placed = _placed(listed.where("rep <> head").select("key", "rep", "n", "rest", "small"), groups)
+    open_keys = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("many")).where("low < high").select("key", "many")
+    placed = scratch.save(placed.join(open_keys, "key"), f"{label}-open")
+    few = placed if short is None else placed.where(F.col("many") <= short)
+    side = lambda x: few.select("key", "small", F.col("rep").alias(x), F.col("n").alias(f"{x}n"), F.col("rest").alias(f"{x}r"), F.col("component").alias(f"{x}c"))
+    fits = (F.col("an") <= F.col("bn")) & similar_size("an", "bn", linker.percent) & ((100 + linker.percent) * F.least("ar", "br") >= linker.percent * (F.col("an") + F.col("bn")))
+    across = side("a").where("small").drop("small").join(side("b").drop("small"), "key").where((F.col("a") != F.col("b")) & (F.col("ac") != F.col("bc")) & fits)
+    across = across.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    links = linker.links(across, f"{label}-pairs")
+    groups = _merged(groups, links, scratch, f"{label}-pairs")
+    long = placed.where(F.lit(False)) if short is None else placed.where(F.col("many") > short)
+    return groups, links, scratch.save(long.select("rep").distinct(), f"{label}-long")
+
+
+def _rare_prefixes(ids: DataFrame, linker: Linker) -> DataFrame:
+    """Lists (``key``, ``rep``, ``n``) of the rarest values of the full sets of ``ids``.
+
+    Two linked sets, the smaller of size m, share at least 2p / (1 + p) of m and p of the larger's size,
+    p being the similarity. In one order for all, by rarity, the first common value therefore stands
+    among the first n - ceil(p n) + 1 of the larger and the first m - ceil(2p m / (1 + p)) + 1 of the
+    smaller. From position i on a set of size n can share n - i values at most.
+    """
+    texts = linker.docs.join(ids.withColumnRenamed("rep", "id"), "id", "left_semi").groupBy("id").agg(F.min("text").alias("text"))
+    sets = linker.scratch.save(texts.select(F.col("id").alias("rep"), shingle_set(F.col("text"), linker.width).alias("values")), "rare-sets")
+    values = sets.select("rep", F.size("values").cast("bigint").alias("n"), F.explode("values").alias("value"))
+    counts = values.groupBy("value").agg(F.count(F.lit(1)).alias("many"))
+    ranked = values.join(counts, "value").groupBy("rep", "n").agg(F.sort_array(F.collect_list(F.struct("many", "value"))).alias("order"))  # at most a text's own shingles
+    prefix = F.col("n") - F.ceil(F.col("n") * linker.percent / 100) + 1
+    placed = ranked.select("rep", "n", F.posexplode(F.slice("order", 1, prefix.cast("int"))).alias("at", "x")).where("x.many > 1")
+    small = F.col("at") < F.col("n") - F.ceil(F.col("n") * 2 * linker.percent / (100 + linker.percent)) + 1
+    return placed.select("rep", "n", F.col("x.value").alias("key"), (F.col("n") - F.col("at")).alias("rest"), small.alias("small"))
+
+
 def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id_col``, ``n_shingles``, ``component_id`` (smallest id reachable over links) and ``kept`` for every row.
 
@@ -129,23 +203,10 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
     reps = scratch.save(reps.dropDuplicates(["rep"]), "reps")
     linker = Linker(docs.where("id is not null"), reps, scratch, percent, width)
 
-    keyed = reps.where("n >= 2").select("rep", "n", F.explode(run_keys(F.col("sketch"))).alias("key"))
-    heads = keyed.groupBy("key").agg(F.min(F.struct("rep", "n")).alias("head"), F.max("rep").alias("last")).where(F.col("head.rep") < F.col("last"))
-    listed = keyed.join(heads.select("key", F.col("head.rep").alias("head"), F.col("head.n").alias("head_n")), "key")
-    listed = scratch.save(listed, "lists")
-    first = listed.where((F.col("rep") != F.col("head")) & similar_size("n", "head_n", percent)).select(F.col("head").alias("a"), F.col("rep").alias("b")).distinct()
-    links = linker.links(first, "first")
-    groups = scratch.save(components(links, scratch, "first"), "groups")
-
-    member = groups.select(F.col("node").alias("rep"), "component")
-    placed = listed.join(member, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    open_keys = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("many")).where("low < high and many > 2").select("key")
-    placed = scratch.save(placed.join(open_keys, "key").select("key", "rep", "n", "component", "head"), "open")
-    a = placed.where("rep <> head").select("key", F.col("rep").alias("a"), F.col("n").alias("an"), F.col("component").alias("ac"))
-    b = placed.where("rep <> head").select("key", F.col("rep").alias("b"), F.col("n").alias("bn"), F.col("component").alias("bc"))
-    across = a.join(b, "key").where((F.col("a") < F.col("b")) & (F.col("ac") != F.col("bc")) & similar_size("an", "bn", percent)).select("a", "b").distinct()
-    more = linker.links(across, "second")
-    groups = scratch.save(components(links.union(more), scratch, "second"), "final")
+    keyed = reps.where("n >= 2").select("rep", "n", F.explode(run_keys(F.col("sketch"))).alias("key"), F.col("n").alias("rest"), F.lit(True).alias("small"))
+    groups, links, long = _compare(keyed, None, linker, scratch, "runs", SHORT)
+    if not long.isEmpty():
+        groups, links, _ = _compare(_rare_prefixes(long, linker), groups, linker, scratch, "rare", None)
 
     final = named.join(groups, F.col("rep") == F.col("node"), "left").select("g1", "g2", "gn", F.coalesce("component", "rep").alias("component"))
     out = parsed.drop("sketch").join(final, same & F.col("id").isNotNull(), "left")
