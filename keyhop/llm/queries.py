@@ -68,6 +68,13 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(docs, secrets.train(docs))
 
 
+def op7_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from keyhop.llm import language_model as lm
+
+    scored = lm.score(table(spark, sf_dir, "documents"), ~lm.held_out())
+    return scored.select("doc_id", lm.held_out().alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm.packing import pack
 
@@ -84,6 +91,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_pii": op6_pii,
         "op10_secrets": op10_secrets,
         "op9_quality_classifier": op9_quality_classifier,
+        "op7_language_model": op7_language_model,
         "op8_best_fit_packing": op8_best_fit_packing,
     }
 
