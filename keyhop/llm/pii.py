@@ -305,7 +305,6 @@ def find(df: DataFrame, model: SemiMarkovField, id_col: str = "doc_id", text_col
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         field = shared.value
-        order = {k: i for i, k in enumerate(KINDS)}
         for batch in batches:
             counts: dict[str, list[int]] = {k: [] for k in KINDS}
             digests, spans, texts = [], [], []
@@ -313,10 +312,7 @@ def find(df: DataFrame, model: SemiMarkovField, id_col: str = "doc_id", text_col
                 raw = value.as_py()
                 text = raw or ""
                 base = base_spans(text)
-                every = base
-                if TRIGGER.search(text):
-                    added = [s for s in field.decode(text) if not any(a < s[2] and s[1] < b for _, a, b in base)]
-                    every = sorted([*base, *added], key=lambda s: (order[s[0]], s[1]))
+                every = every_span(text, field, base)
                 for k in KINDS:
                     counts[k].append(sum(s[0] == k for s in base))
                 digests.append(hashlib.sha256(listed(base).encode()).hexdigest())
@@ -331,6 +327,32 @@ def find(df: DataFrame, model: SemiMarkovField, id_col: str = "doc_id", text_col
     return rows.mapInArrow(run, kind).withColumnRenamed("id", id_col)
 
 
+def every_span(text: str, field: SemiMarkovField, base: list[Span]) -> list[Span]:
+    """The base spans and those of the field that touch none of them, by kind, then start."""
+    if not TRIGGER.search(text):
+        return base
+    added = [s for s in field.decode(text) if not any(a < s[2] and s[1] < b for _, a, b in base)]
+    return sorted([*base, *added], key=lambda s: (KINDS.index(s[0]), s[1]))
+
+
+def masked_column(df: DataFrame, model: SemiMarkovField, text_col: str = "text") -> DataFrame:
+    """``df`` with the personal data in its texts masked; null texts stay null."""
+    ship(df.sparkSession)
+    shared = df.sparkSession.sparkContext.broadcast(model)
+
+    @F.arrow_udf("string")
+    def masked(texts: pa.Array) -> pa.Array:
+        field = shared.value
+        out = []
+        for value in texts:
+            text = value.as_py()
+            spans = every_span(text, field, base_spans(text)) if text else []
+            out.append(mask(text, spans) if spans else text)
+        return pa.array(out, pa.string())
+
+    return df.withColumn(text_col, masked(F.col(text_col).cast("string")))
+
+
 def mask(text: str, spans: list[Span]) -> str:
     """The text with every span replaced by its kind; of overlapping spans the one that starts first gives the kind."""
     out, done = [], 0

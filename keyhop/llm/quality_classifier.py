@@ -144,5 +144,18 @@ def classify(df: DataFrame, model: FactorisationMachine, threshold: float = 0.3,
     return rows.mapInArrow(run, f"id {id_type}, score double").select(F.col("id").alias(id_col), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
+def predict_column(df: DataFrame, model: FactorisationMachine, threshold: float = 0.3, text_col: str = "text") -> DataFrame:
+    """``df`` with columns ``score`` and ``predicted`` of its texts added (any of these names is replaced)."""
+    ship(df.sparkSession)
+    shared = df.sparkSession.sparkContext.broadcast(model)
+
+    @F.arrow_udf("double")
+    def scored(texts: pa.Array) -> pa.Array:
+        score = shared.value.score
+        return pa.array([score(t.as_py()) for t in texts], pa.float64())
+
+    return df.withColumn("score", scored(F.col(text_col).cast("string"))).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+
+
 def held_out(id_col: str = "doc_id"):
     return F.coalesce(crc_mod(F.col(id_col), 5) == 0, F.lit(False))
