@@ -82,21 +82,21 @@ def seat(customers: np.ndarray, mass: np.ndarray, discount: float, rng: np.rando
     """Numbers of tables after seating each dish's customers anew.
 
     ``mass`` is what a new table weighs: (strength + discount * tables of the restaurant) times the
-    parent's probability of the dish. The customer who opens the next table is drawn at once, by
-    inverting the probability that all before join a table.
+    parent's probability of the dish. Customers enter one by one at first, then in blocks of a tenth of
+    those seated, within which the chance of a new table is taken as constant.
     """
     tables = np.minimum(customers, 1).astype(np.int64)
     at = np.flatnonzero(customers > 1)
-    seated = np.ones(len(at))
+    seated, c, weight = np.ones(len(at), np.int64), customers[at].astype(np.int64), np.maximum(mass[at], 0)
+    t = np.ones(len(at), np.int64)
     while len(at):
-        occupied = seated - discount * tables[at]
-        with np.errstate(over="ignore"):
-            nxt = discount * tables[at] + np.maximum(occupied, 1e-9) * rng.random(len(at)) ** (-1 / np.maximum(mass[at], 1e-12))
-        opened = np.maximum(nxt, seated) < customers[at]
-        at, seated = at[opened], np.maximum(nxt[opened], seated[opened]) + 1
-        tables[at] += 1
-        on = seated < customers[at]
-        at, seated = at[on], seated[on]
+        block = np.minimum(np.maximum(seated // 10, 1), c - seated)
+        t += rng.binomial(block, weight / (weight + seated - discount * t))
+        seated += block
+        tables[at] = t
+        on = seated < c
+        if not on.all():
+            at, seated, c, weight, t = at[on], seated[on], c[on], weight[on], t[on]
     return tables
 
 
