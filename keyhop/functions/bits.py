@@ -87,3 +87,13 @@ def gather_column(c: Column, mask: int) -> Column:
     for h, t in runs(mask):
         out = F.shiftleft(out, h - t).bitwiseOR(F.shiftright(c, t).bitwiseAND(F.lit(ones(h - t)).cast("bigint")))
     return out
+
+
+def scatter_column(c: Column, mask: int) -> Column:
+    """:func:`scatter` on a long column."""
+    out = F.lit(0).cast("bigint")
+    shift = 0
+    for h, t in reversed(runs(mask)):
+        out = out.bitwiseOR(F.shiftleft(F.shiftright(c, shift).bitwiseAND(F.lit(ones(h - t)).cast("bigint")), t))
+        shift += h - t
+    return out

@@ -13,12 +13,12 @@ from bisect import bisect_left
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from keyhop.functions.bits import joined, limbs
+from keyhop.functions.bits import joined, limbs, scatter_column, top_position
 from keyhop.plans.costs import Counters
-from keyhop.plans.search import Search, mismatch_udf, next_match_udf
+from keyhop.plans.search import Search, failing_bit, mismatch_udf, next_match_of_pattern, next_match_udf
 from keyhop.runtime import ship
 from keyhop.sources.store import KeyedStore
 
@@ -116,3 +116,36 @@ def race(store: KeyedStore, search: Search, ratio: float, thresholds: dict[str,
     got = declarative_counters(store.data, store.layout.key_columns, search, sorted(set(thresholds.values())))
     names = store.spark.createDataFrame(list(thresholds.items()), "strategy string, threshold int")
     return names.join(got, "threshold").select("strategy", "threshold", "matched", "scans", "jumps", (F.col("scans") * ratio + F.col("jumps")).alias("cost"))
+
+
+def average_counters(df: DataFrame, mask: int, n: int, threshold: int, key: str = "k0") -> DataFrame:
+    """Totals over all patterns of a point mask on one-limb keys: ``leap_jumps``, ``crawl_scans``, ``hybrid_jumps``, ``hybrid_scans``.
+
+    Each row meets each of the 2^d patterns, so d should be small; all of it is bit expressions, and
+    keys count within each pattern's bounding interval.
+    """
+    d = mask.bit_count()
+    free = ((1 << n) - 1) & ~mask
+    patterns = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit((1 << d) - 1).cast("bigint")))
+    rows = df.groupBy(key).agg(F.count(F.lit(1)).alias("m")).select(F.col(key).alias("k"), "m", patterns.alias("p")).withColumn("pattern", scatter_column(F.col("p"), mask))
+    inside = rows.where((F.col("k") >= F.col("pattern")) & (F.col("k") <= F.col("pattern").bitwiseOR(F.lit(free).cast("bigint"))))
+    fails = inside.withColumns({"y": top_position(failing_bit(F.col("k"), F.col("pattern"), mask)), "h": next_match_of_pattern(F.col("k"), F.col("pattern"), mask, n)}).where("y > 0")
+    over = F.min(F.when(F.col("y") > threshold, F.col("k"))).over(Window.partitionBy("p", "h"))
+    marked_rows = fails.withColumn("first", over)
+    gaps = marked_rows.groupBy("p", "h").agg(F.sum("m").alias("rows"), F.sum(F.when(F.col("first").isNull() | (F.col("k") < F.col("first")), F.col("m"))).alias("scanned"), F.first("first").alias("first"))
+    return gaps.agg(F.count(F.lit(1)).alias("leap_jumps"), F.coalesce(F.sum("rows"), F.lit(0)).alias("crawl_scans"), F.count("first").alias("hybrid_jumps"), F.coalesce(F.sum("scanned"), F.lit(0)).alias("hybrid_scans"))
+
+
+def point_counters(df: DataFrame, search: Search, thresholds: list[int], key: str = "k0") -> DataFrame:
+    """:func:`declarative_counters` for point searches on one-limb keys, in bit expressions and one aggregation."""
+    mask, pattern = search.point
+    lo, hi = search.bounds()
+    k, p = F.col("k"), F.lit(pattern).cast("bigint")
+    rows = df.where(F.col(key).between(lo, hi)).groupBy(F.col(key).alias("k")).agg(F.count(F.lit(1)).alias("m"))
+    rows = rows.withColumns({"y": top_position(failing_bit(k, p, mask)), "h": next_match_of_pattern(k, p, mask, search.n)})
+    matched = F.sum(F.when(F.col("y") == 0, F.col("m"))).alias("matched")
+    each = rows.withColumn("threshold", F.explode(F.array(*map(F.lit, thresholds))))
+    first = F.min(F.when(F.col("y") > F.col("threshold"), k)).over(Window.partitionBy("threshold", "h"))
+    gaps = each.withColumn("first", first).groupBy("threshold", "h").agg(matched, F.sum(F.when((F.col("y") > 0) & (F.col("first").isNull() | (k < F.col("first"))), F.col("m"))).alias("scans"), F.first("first").isNotNull().cast("int").alias("jump"))
+    zero = lambda c: F.coalesce(F.sum(c), F.lit(0)).cast("bigint")
+    return gaps.groupBy("threshold").agg(zero("matched").alias("matched"), zero("scans").alias("scans"), zero("jump").alias("jumps"))

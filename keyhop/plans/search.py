@@ -208,15 +208,24 @@ class Search:
         """:meth:`next_match` of a single-limb key for points; null stands for none."""
         if self.point is None:
             raise ValueError("the column form is for points; use next_match_udf")
-        mask, pattern = (F.lit(x).cast("bigint") for x in self.point)
-        fail = top_bit(key.bitwiseAND(mask).bitwiseXOR(pattern))
-        under = fail - 1
-        kept = key.bitwiseAND(F.bitwise_not(fail.bitwiseOR(under)))
-        low = kept.bitwiseOR(fail).bitwiseOR(pattern.bitwiseAND(under))
-        open_bits = F.bitwise_not(key).bitwiseAND(F.lit(ones(self.n) & ~self.mask).cast("bigint")).bitwiseAND(F.bitwise_not(fail.bitwiseOR(under)))
-        grow = open_bits.bitwiseAND(-open_bits)
-        high = key.bitwiseAND(F.bitwise_not(grow.bitwiseOR(grow - 1))).bitwiseOR(grow).bitwiseOR(pattern.bitwiseAND(grow - 1))
-        return F.when(fail == 0, key).when(key.bitwiseAND(fail) == 0, low).when(grow != 0, high)
+        return next_match_of_pattern(key, F.lit(self.point[1]).cast("bigint"), self.mask, self.n)
+
+
+def failing_bit(key: Column, pattern: Column, mask: int) -> Column:
+    """The highest masked bit in which a long key differs from the pattern; 0 for a match."""
+    return top_bit(key.bitwiseAND(F.lit(mask).cast("bigint")).bitwiseXOR(pattern))
+
+
+def next_match_of_pattern(key: Column, pattern: Column, mask: int, n: int) -> Column:
+    """The next key with the pattern's bits on ``mask``, as a bit expression; null stands for none."""
+    fail = failing_bit(key, pattern, mask)
+    under = fail - 1
+    kept = key.bitwiseAND(F.bitwise_not(fail.bitwiseOR(under)))
+    low = kept.bitwiseOR(fail).bitwiseOR(pattern.bitwiseAND(under))
+    open_bits = F.bitwise_not(key).bitwiseAND(F.lit(ones(n) & ~mask).cast("bigint")).bitwiseAND(F.bitwise_not(fail.bitwiseOR(under)))
+    grow = open_bits.bitwiseAND(-open_bits)
+    high = key.bitwiseAND(F.bitwise_not(grow.bitwiseOR(grow - 1))).bitwiseOR(grow).bitwiseOR(pattern.bitwiseAND(grow - 1))
+    return F.when(fail == 0, key).when(key.bitwiseAND(fail) == 0, low).when(grow != 0, high)
 
 
 def limb_list(key: int | None, count: int) -> list[int] | None:

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from keyhop.functions.dictionary import build_dictionary
-from keyhop.operators.race import cursor_counters, declarative_counters, race
+from keyhop.operators.race import average_counters, cursor_counters, declarative_counters, point_counters, race
 from keyhop.operators.surround import all_operators
 from keyhop.plans import costs, geometry
 from keyhop.plans.filters import AnyOf, Between, Eq, Filter, In, IsNull, NotIn, Prefix, condition
@@ -122,15 +122,13 @@ def layout_comparison(spark: SparkSession, sf: str) -> DataFrame:
     value = df.orderBy(F.xxhash64(*df.columns)).first().asDict()
     for kind in ("interleave", "junior", "odometer", "blocked2", "blocked4"):
         s = wl.store(spark, sf, "fact5", layout=kind)
-        slices = s.catalog.count()
+        slices, n = s.catalog.count(), s.layout.n
         for a in FACTS["fact5"]:
             v = value[a].date() if hasattr(value[a], "date") else value[a]
             search = s.search(**{a: Eq(round(v, 2) if isinstance(v, float) else v)})
-            kept = s.prune(search).count()
             t = costs.choose_threshold(search, s.rows, RATIO).threshold
-            got = {r["threshold"]: r for r in declarative_counters(s.data, s.layout.key_columns, search, sorted({0, t, s.layout.n})).collect()}
-            cost = lambda x, got=got: got[x]["scans"] * RATIO + got[x]["jumps"]
-            out.append((kind, a, slices, kept, t, float(cost(s.layout.n)), float(cost(0)), float(cost(t))))
+            got = {r["threshold"]: r["scans"] * RATIO + r["jumps"] for r in point_counters(s.data, search, sorted({0, t, n})).collect()}
+            out.append((kind, a, slices, s.prune(search).count(), t, float(got[n]), float(got[0]), float(got[t])))
     return _rows(spark, out, "layout string, attribute string, slices bigint, kept bigint, threshold int, crawl double, leap double, hybrid double")
 
 
@@ -142,16 +140,9 @@ def average_cost(spark: SparkSession, sf: str) -> DataFrame:
     for a in ("l_discount", "l_quantity"):
         mask = s.layout.mask(a)
         d = mask.bit_count()
-        jumps = scans = crawled = hybrid_jumps = 0
         t = costs.threshold_cardinality(n, c, RATIO, mask)
-        from keyhop.plans.search import Point, Search
-
-        for p in range(2**d):
-            got = {r["threshold"]: r for r in declarative_counters(s.data, s.layout.key_columns, Search(n, (Point(mask, p),)), sorted({0, t, n})).collect()}
-            jumps += got[0]["jumps"]
-            crawled += got[n]["scans"]
-            scans += got[t]["scans"]
-            hybrid_jumps += got[t]["jumps"]
+        got = average_counters(s.data, mask, n, t).first()
+        jumps, crawled, hybrid_jumps, scans = got["leap_jumps"], got["crawl_scans"], got["hybrid_jumps"], got["hybrid_scans"]
         second = costs.r2(s.data, mask, n)
         sigma = costs.region_sigma(s.data, mask, n)
         out.append((a, d, jumps, crawled, hybrid_jumps, scans, costs.crawl_total(d, c), costs.jump_bound(mask, n) >= jumps, float(costs.r1(mask, n, c)), second, costs.r2_uniform(d, n), float(min(costs.r2_eps(mask, n, sigma), 1e300)), sigma, costs.sigma0(mask, n), costs.leap_wins_exact(jumps, RATIO, d, c)))

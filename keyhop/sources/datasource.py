@@ -14,6 +14,7 @@ from dataclasses import dataclass
 
 import pyarrow as pa
 import pyarrow.dataset as ds
+from pyarrow import fs
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, In, InputPartition, IsNotNull, IsNull, LessThan, LessThanOrEqual
 
@@ -24,6 +25,17 @@ from keyhop.plans.restrict import normalize
 from keyhop.plans.search import Restriction, Search, normal_intervals
 
 
+def _text(folder: str) -> str:
+    """The first line of the text files in a folder."""
+    store, root = fs.FileSystem.from_uri(folder) if "://" in folder else (fs.LocalFileSystem(), folder)
+    for info in store.get_file_info(fs.FileSelector(root)):
+        if info.base_name.startswith("part-"):
+            with store.open_input_stream(info.path) as f:
+                if line := f.readall().decode().strip():
+                    return line
+    raise FileNotFoundError(folder)
+
+
 @dataclass
 class SlicePartition(InputPartition):
     """One slice's folder."""
@@ -56,8 +68,7 @@ class StoreReader(DataSourceReader):
 
     def __init__(self, path: str, schema):
         self.path, self.schema = path, schema
-        with open(next(p for p in ds.dataset(f"{path}/layout", format="csv", exclude_invalid_files=False, ignore_prefixes=["_", "."]).files)) as f:
-            self.layout = KeyLayout.from_json(f.read().strip())
+        self.layout = KeyLayout.from_json(_text(f"{path}/layout"))
         self.restrictions: dict[str, list[tuple[int, int]]] = {}
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802
