@@ -88,16 +88,33 @@ def estimate(sa: Column, sb: Column) -> Column:
     return let(F.slice(F.sort_array(F.array_union(sa, sb)), 1, K), of)
 
 
+#: Id lists counted to be at most this long are broadcast; beyond it the join shuffles.
+BROADCAST_IDS = 1_000_000
+
+
+def sized(ids: DataFrame) -> DataFrame:
+    """A written list of ids, marked for broadcast if it is short enough."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
 class Linker:
     """Verifies candidate pairs of representatives."""
 
     def __init__(self, docs: DataFrame, reps: DataFrame, scratch: Scratch, percent: int, width: int):
         self.docs, self.reps, self.scratch, self.percent, self.width = docs, reps, scratch, percent, width
 
+    def sets(self, ids: DataFrame, label: str) -> DataFrame:
+        """``id`` and ``values``, the full set, of the documents listed in ``ids`` (column ``id``)."""
+        wanted = sized(self.scratch.save(ids.distinct(), f"{label}-wanted"))
+        return self.scratch.save(self.docs.join(wanted, "id", "left_semi").select("id", shingle_set(F.col("text"), self.width).alias("values")), f"{label}-sets")
+
     def links(self, pairs: DataFrame, label: str) -> DataFrame:
         """Of ``pairs`` (``a`` < ``b``, distinct) those that are linked, confirmed on full sets."""
-        sketch = lambda side: self.reps.select(F.col("rep").alias(side), F.col("n").alias(f"n{side}"), F.col("sketch").alias(f"s{side}"))
-        known = pairs.join(sketch("a"), "a").join(sketch("b"), "b")
+        pairs = self.scratch.save(pairs, f"{label}-candidates")
+        ids = self.scratch.save(pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct(), f"{label}-ids")
+        own = self.scratch.save(self.reps.join(sized(ids), "rep", "left_semi"), f"{label}-sketches")
+        sketch = lambda side: own.select(F.col("rep").alias(side), F.col("n").alias(f"n{side}"), F.col("sketch").alias(f"s{side}"))
+        known = pairs.join(sketch("a"), "a").join(sketch("b"), "b").where(similar_size("na", "nb", self.percent))
         guess = estimate(F.col("sa"), F.col("sb"))
         share = self.percent / 100
         union = F.least("na", "nb") / share  # the largest that a linked pair can have; it is sampled without replacement
@@ -107,14 +124,12 @@ class Linker:
         full = (F.col("na") <= K) & (F.col("nb") <= K)  # then both sketches are the sets
         exact = passed.where(full & (F.round(F.col("guess") * 1e6) >= self.percent * 10_000)).select("a", "b")
         large = passed.where(~full)
-        wanted = large.select(F.col("a").alias("id")).union(large.select("b")).distinct()
-        texts = self.docs.join(wanted, "id", "left_semi")
-        sets = self.scratch.save(texts.groupBy("id").agg(F.min("text").alias("text")).select("id", shingle_set(F.col("text"), self.width).alias("values")), f"{label}-sets")
+        sets = self.sets(large.select(F.col("a").alias("id")).union(large.select("b")), label)
         of = lambda side: sets.select(F.col("id").alias(side), F.col("values").alias(f"v{side}"))
         both = large.select("a", "b").join(of("a"), "a").join(of("b"), "b")
         inter = F.size(F.array_intersect("va", "vb"))
         sure = both.withColumn("inter", inter).where(100 * F.col("inter") >= self.percent * (F.size("va") + F.size("vb") - F.col("inter"))).select("a", "b")
-        return self.scratch.save(exact.union(sure), f"{label}-links")
+        return self.scratch.save(exact.union(sure).distinct(), f"{label}-links")
 
 
 def _placed(listed: DataFrame, groups: DataFrame | None) -> DataFrame:
@@ -141,13 +156,16 @@ def _compare(keyed: DataFrame, groups: DataFrame | None, linker: Linker, scratch
     """Compare what shares a list (``key``, ``rep``, ``n``): stars, then pairs across components.
 
     ``rest`` bounds what a set can share with another whose first common key this is; ``small`` marks
-    the rows that can be the smaller set of a pair. Returns the components, the last links, and the ids (``rep``) in lists longer than ``short`` that
+    the rows that can be the smaller set of a pair; without these columns nothing is bounded. Returns the components, the last links, and the ids (``rep``) in lists longer than ``short`` that
     still hold several components.
     """
-    heads = keyed.groupBy("key").agg(F.min(F.when(F.col("small"), F.struct("rep", "n"))).alias("head"), F.min("rep").alias("first"), F.max("rep").alias("last")).where(F.col("head").isNotNull() & (F.col("first") < F.col("last")))
-    listed = keyed.join(heads.select("key", F.col("head.rep").alias("head"), F.col("head.n").alias("head_n")), "key")
+    role = F.col("small") if "small" in keyed.columns else F.lit(True)
+    heads = keyed.groupBy("key").agg(F.min(F.when(role, F.col("rep"))).alias("head"), F.min("rep").alias("first"), F.max("rep").alias("last")).where(F.col("head").isNotNull() & (F.col("first") < F.col("last")))
+    listed = keyed.join(heads.select("key", "head"), "key")
+    if "small" not in keyed.columns:
+        listed = listed.withColumns({"rest": F.col("n"), "small": F.lit(True)})
     listed = scratch.save(listed, f"{label}-lists")
-    stars = listed.where((F.col("rep") != F.col("head")) & similar_size("n", "head_n", linker.percent)).select(F.least("head", "rep").alias("a"), F.greatest("head", "rep").alias("b")).distinct()
+    stars = listed.where(F.col("rep") != F.col("head")).select(F.least("head", "rep").alias("a"), F.greatest("head", "rep").alias("b")).distinct()
     groups = _merged(groups, linker.links(stars, f"{label}-stars"), scratch, f"{label}-stars")
     placed = _placed(listed.where("rep <> head").select("key", "rep", "n", "rest", "small"), groups)
     open_keys = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("many")).where("low < high").select("key", "many")
@@ -171,8 +189,7 @@ def _rare_prefixes(ids: DataFrame, linker: Linker) -> DataFrame:
     among the first n - ceil(p n) + 1 of the larger and the first m - ceil(2p m / (1 + p)) + 1 of the
     smaller. From position i on a set of size n can share n - i values at most.
     """
-    texts = linker.docs.join(ids.withColumnRenamed("rep", "id"), "id", "left_semi").groupBy("id").agg(F.min("text").alias("text"))
-    sets = linker.scratch.save(texts.select(F.col("id").alias("rep"), shingle_set(F.col("text"), linker.width).alias("values")), "rare-sets")
+    sets = linker.sets(ids.withColumnRenamed("rep", "id"), "rare").withColumnRenamed("id", "rep")
     values = sets.select("rep", F.size("values").cast("bigint").alias("n"), F.explode("values").alias("value"))
     counts = values.groupBy("value").agg(F.count(F.lit(1)).alias("many"))
     ranked = values.join(counts, "value").groupBy("rep", "n").agg(F.sort_array(F.collect_list(F.struct("many", "value"))).alias("order"))  # at most a text's own shingles
@@ -186,8 +203,8 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
     """``id_col``, ``n_shingles``, ``component_id`` (smallest id reachable over links) and ``kept`` for every row.
 
     Two texts are linked where 100 * intersection >= ``percent`` * union of their shingle sets. A text
-    without a word has an empty set and no link. Rows with equal ids are one document whose smallest
-    text counts where their texts differ. A row without an id is linked with nothing and kept. Other
+    without a word has an empty set and no link. Rows with equal ids but different texts are answered each
+    by its own text. A row without an id is linked with nothing and kept. Other
     columns are not read; an empty table gives an empty result.
     """
     scratch = Scratch(df.sparkSession, "near-duplicates")
@@ -200,10 +217,10 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
     named = classes.withColumnsRenamed({"f1": "g1", "f2": "g2", "n": "gn"})
     same = (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("gn"))
     reps = nonempty.join(named, same & (F.col("id") == F.col("rep")), "left_semi").select(F.col("id").alias("rep"), "n", "sketch")
-    reps = scratch.save(reps.dropDuplicates(["rep"]), "reps")
+    reps = scratch.save(reps, "reps")
     linker = Linker(docs.where("id is not null"), reps, scratch, percent, width)
 
-    keyed = reps.where("n >= 2").select("rep", "n", F.explode(run_keys(F.col("sketch"))).alias("key"), F.col("n").alias("rest"), F.lit(True).alias("small"))
+    keyed = reps.where("n >= 2").select("rep", "n", F.explode(run_keys(F.col("sketch"))).alias("key"))
     groups, links, long = _compare(keyed, None, linker, scratch, "runs", SHORT)
     if not long.isEmpty():
         groups, links, _ = _compare(_rare_prefixes(long, linker), groups, linker, scratch, "rare", None)
