@@ -137,7 +137,7 @@ def sample_speller(counts: np.ndarray, burn: int = 8, keep: int = 6, strength: f
             predictive[k] = ((np.maximum(c - d * t, 0) + (strength + d * t.sum(axis=1, keepdims=True)) * parent) / (strength + c.sum(axis=1, keepdims=True))).ravel()
         if sweep >= burn:
             total += predictive[ORDER]
-    return np.log(total / keep)
+    return np.log(total / keep).astype(np.float32)
 
 
 def vocabulary(df: DataFrame, train: Column) -> DataFrame:
@@ -165,8 +165,9 @@ def _spelling_counts(vocab: DataFrame, symbols: dict[int, int], tables: Column)
                 continue
             key, starts, _ = Speller.keys(words, symbols)
             weight = np.repeat(batch.column(1).to_numpy(), np.diff(np.append(starts, len(key))))
-            n = np.bincount(key, weights=weight, minlength=SYMBOLS ** (ORDER + 1))
-            total = n if total is None else total + n
+            held, place = np.unique(key, return_inverse=True)
+            total = np.zeros(SYMBOLS ** (ORDER + 1)) if total is None else total
+            total[held] += np.bincount(place, weights=weight)
         at = np.flatnonzero(total) if total is not None else np.zeros(0, np.int64)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at].astype(np.int64) if len(at) else at, pa.int64())], ["key", "n"])
 
