@@ -34,10 +34,8 @@ def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     from keyhop.llm import language_id as li
 
     docs = table(spark, sf_dir, "documents")
-    held = docs.withColumn("held_out", li.held_out(docs))
-    model = li.train(held.where("not held_out"))
-    found = li.identify(docs, model)
-    return found.select("doc_id", li.held_out(found).alias("held_out"), "lang_pred", "score", "mixture")
+    found = li.identify(docs, li.train(docs.where(~li.held_out())))
+    return found.select("doc_id", li.held_out().alias("held_out"), "lang_pred", "score", "mixture")
 
 
 def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
