@@ -310,8 +310,10 @@ def gain_by_restrictions(spark: SparkSession, sf: str) -> DataFrame:
     for k in (1, 2, 3):
         for w in wl.mixes("fact5", "P" * k, 4):
             search = s.search(**w.filters)
+            if search.empty or not search.point:
+                continue
             t = costs.choose_threshold(search, s.rows, RATIO).threshold
-            got = {r["threshold"]: r["scans"] * RATIO + r["jumps"] for r in declarative_counters(s.data, s.layout.key_columns, search, sorted({0, t, s.layout.n})).collect()}
+            got = {r["threshold"]: r["scans"] * RATIO + r["jumps"] for r in point_counters(s.data, search, sorted({0, t, s.layout.n})).collect()}
             kept = s.prune(search).agg(F.sum("rows")).first()[0] or 0
             out.append((k, w.name, float(got[s.layout.n]), float(got[0]), float(got[t]), kept))
     return _rows(spark, out, "k int, name string, crawl double, leap double, hybrid double, rows_in_kept_slices bigint")
