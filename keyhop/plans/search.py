@@ -248,3 +248,15 @@ def mismatch_udf(search: Search):
         return pa.array([search.mismatch(joined(x)) for x in keys.to_pylist()], pa.int32())
 
     return run
+
+
+def crawl_intervals(search: Search, threshold: int) -> list[tuple[int, int]]:
+    """The key intervals that hybrid scans at a threshold for a point: regions of that order whose senior bits match.
+
+    There are 2^(free bits above the threshold) of them; callers keep that number small.
+    """
+    mask, pattern = search.point
+    senior = ones(search.n) & ~ones(threshold)
+    free = senior & ~mask
+    fixed = pattern & mask & senior
+    return [(fixed | scatter(f, free), fixed | scatter(f, free) | ones(threshold)) for f in range(1 << free.bit_count())]

@@ -229,6 +229,9 @@ def _stores() -> None:
     _add("dictionary_unordered", lambda spark, sf: build_dictionary(table(spark, sf, "part"), "p_type", ordered=False).agg(F.count_distinct("code").alias("codes"), F.min("code").alias("low"), F.max("code").alias("high")), "SELECT count(DISTINCT p_type) AS codes, CAST(1 AS BIGINT) AS low, count(DISTINCT p_type) AS high FROM part")
     _add("sql_front_end", _sql_front, "SELECT count(*) AS count FROM lineitem WHERE l_quantity = 11 AND l_suppkey IN (2, 4, 6)")
     _add("split_values_count", _split_values, f"SELECT count(*) AS count, CAST(sum(CAST(l_extendedprice AS DECIMAL(15,2))) AS DOUBLE) AS total FROM lineitem WHERE {wl.where_sql(two)}")
+    _add("crawl_region_count", crawl_region_count, sql(two))
+    for kind in ("json", "csv", "orc"):
+        _add(f"export_{kind}", lambda spark, sf, kind=kind: exported(spark, sf, kind), "SELECT p_partkey, p_name, p_size FROM part")
     _add("same_bag", lambda spark, sf: _same_bag(spark, sf, two), "SELECT CAST(0 AS BIGINT) AS only_store, CAST(0 AS BIGINT) AS only_scan")
 
 
@@ -271,6 +274,36 @@ def _same_bag(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataF
     return left.crossJoin(right)  # one row each
 
 
+def crawl_region_count(spark: SparkSession, sf: str) -> DataFrame:
+    """Crawl regions from a table function, joined to the rows by their prefix, with the condition tested on each row."""
+    from pyspark.sql.functions import udtf
+
+    from keyhop.plans.search import crawl_intervals
+    from keyhop.runtime import ship
+
+    ship(spark)
+    s = wl.store(spark, sf, "fact5")
+    filters = {"l_quantity": Eq(11.0), "l_discount": Eq(0.05)}
+    search = s.search(**filters)
+    threshold = s.layout.n - 10
+
+    class Regions:
+        def eval(self, t: int):
+            yield from crawl_intervals(search, t)
+
+    regions = udtf(Regions, returnType="lo bigint, hi bigint")(F.lit(threshold)).select(F.shiftright("lo", threshold).alias("prefix"))
+    rows = s.data.withColumn("prefix", F.shiftright("k0", threshold))
+    return rows.join(F.broadcast(regions), "prefix").where(condition(s.layout, filters)).agg(F.count(F.lit(1)).alias("count"))  # at most 2^10 regions
+
+
+def exported(spark: SparkSession, sf: str, kind: str) -> DataFrame:
+    """The parts, written in another format and read back with their schema."""
+    parts = table(spark, sf, "part").select("p_partkey", "p_name", "p_size")
+    path = Scratch(spark, "export").path(kind)
+    parts.write.format(kind).option("header", "true").save(path)
+    return spark.read.schema(parts.schema).format(kind).option("header", "true").load(path)
+
+
 def _baselines() -> None:
     f = {"p_brand": Eq("Brand#12"), "p_size": Between(10, 20), "o_orderpriority": Eq("1-URGENT")}
     sql = f"SELECT count(*) AS count FROM ({STAR_SQL}) f WHERE {wl.where_sql(f)}"
@@ -352,10 +385,18 @@ def _streams() -> None:
     _add("stream_session", lambda spark, sf: finished(event_stream(spark, sf).groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", "n"), Scratch(spark, "stream").root))
     _add("stream_dedup", lambda spark, sf: finished(event_stream(spark, sf).dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"), Scratch(spark, "stream").root), "SELECT DISTINCT event_id, user_id FROM events")
     _add("stream_static_join", lambda spark, sf: finished(event_stream(spark, sf).join(table(spark, sf, "nation"), F.col("user_id") == F.col("n_nationkey")).select("event_id", "n_name"), Scratch(spark, "stream").root), "SELECT event_id, n_name FROM events JOIN nation ON user_id = n_nationkey")
+    _add("stream_stream_join", stream_joined, "SELECT a.event_id AS viewed, b.event_id AS clicked FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 60 MINUTE")
     _add("stream_stateful_counts", stream_counts, "SELECT user_id, count(*) AS n FROM events GROUP BY 1")
     _add("stream_keyed_store", stream_keyed, "SELECT count(*) AS count FROM events WHERE event_type = 'click' AND CAST(ts AS DATE) BETWEEN DATE '2024-01-05' AND DATE '2024-01-15'")
 
 
+def stream_joined(spark: SparkSession, sf: str) -> DataFrame:
+    """Clicks within an hour of a view by the same user, both sides streams."""
+    a = event_stream(spark, sf).where("event_type = 'view'").select(F.col("event_id").alias("viewed"), F.col("user_id").alias("u"), F.col("ts").alias("from"))
+    b = event_stream(spark, sf).where("event_type = 'click'").select(F.col("event_id").alias("clicked"), F.col("user_id").alias("v"), F.col("ts").alias("to"))
+    return finished(a.join(b, F.expr("u = v AND to > from AND to <= from + interval 60 minutes")).select("viewed", "clicked"), Scratch(spark, "stream").root)
+
+
 def stream_counts(spark: SparkSession, sf: str) -> DataFrame:
     """Running count per user by a stateful operator; the last value of each user."""
     import pandas as pd
