@@ -1,7 +1,6 @@
 import re
 from collections import Counter
 
-import pytest
 from pyspark.sql import functions as F
 
 from keyhop.llm.decontamination import decontaminate, leaks, simhash
@@ -82,4 +81,3 @@ def test_native_plans(docs):
 def test_simhash_is_a_majority_of_bits(spark):
     same, other = spark.createDataFrame([(["a", "b", "c"],), (["c", "a", "b"],)], "w array<string>").select(simhash(F.col("w")).alias("h")).collect()
     assert same["h"] == other["h"]
-    assert pytest.approx(1.0) == 1.0
