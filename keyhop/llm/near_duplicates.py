@@ -6,8 +6,9 @@ them in a set of at most ``K``). Inverted lists are kept of runs of neighbouring
 sets of Jaccard similarity 0.8 share four of five values of their common sketch, hence some run of
 three neighbours, for sets within the sketch by counting and for larger ones with a probability of
 missing of about 1e-10; single values, the most frequent ones above all, would make lists of
-unrelated texts. Overlapping pairs pass a filter by the similarity estimated from the union's sketch,
-and what passes is verified on the full sets.
+unrelated texts. Overlapping pairs of sets within the sketch are decided by their sketches, which are the
+sets; others pass a filter by the similarity estimated from the union's sketch, and what passes is
+verified on the full sets.
 
 Large groups never become all their pairs. First every list is compared with its smallest member only;
 what is linked becomes one component. Then, for lists with several components left, the pairs across
@@ -115,14 +116,15 @@ class Linker:
         own = self.scratch.save(self.reps.join(sized(ids), "rep", "left_semi"), f"{label}-sketches")
         sketch = lambda side: own.select(F.col("rep").alias(side), F.col("n").alias(f"n{side}"), F.col("sketch").alias(f"s{side}"))
         known = pairs.join(sketch("a"), "a").join(sketch("b"), "b").where(similar_size("na", "nb", self.percent))
-        guess = estimate(F.col("sa"), F.col("sb"))
         share = self.percent / 100
         union = F.least("na", "nb") / share  # the largest that a linked pair can have; it is sampled without replacement
         deviation = F.sqrt(F.greatest(share * (1 - share) / K * (1 - (K - 1) / union), F.lit(0.0)))
-        passed = known.select("a", "b", "na", "nb", guess.alias("guess")).where(F.col("guess") >= share - DEVIATIONS * deviation - 1e-9)
-        passed = self.scratch.save(passed, f"{label}-passed")
+        close = estimate(F.col("sa"), F.col("sb")) >= share - DEVIATIONS * deviation - 1e-9
         full = (F.col("na") <= K) & (F.col("nb") <= K)  # then both sketches are the sets
-        exact = passed.where(full & (F.round(F.col("guess") * 1e6) >= self.percent * 10_000)).select("a", "b")
+        linked = let(F.size(F.array_intersect("sa", "sb")), lambda inter: 100 * inter >= self.percent * (F.col("na") + F.col("nb") - inter))
+        passed = known.where(F.when(full, linked).otherwise(close)).select("a", "b", "na", "nb")
+        passed = self.scratch.save(passed, f"{label}-passed")
+        exact = passed.where(full).select("a", "b")
         large = passed.where(~full)
         sets = self.sets(large.select(F.col("a").alias("id")).union(large.select("b")), label)
         of = lambda side: sets.select(F.col("id").alias(side), F.col("values").alias(f"v{side}"))

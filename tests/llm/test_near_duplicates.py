@@ -40,6 +40,20 @@ def test_components_equal_brute_force(docs, texts, width, short, monkeypatch):
     assert all(rows[i]["kept"] == (least[i] == i) for i in range(len(texts)))
 
 
+def test_pairs_of_full_sketches_are_decided_exactly(spark):
+    """Sets of 60 to 66 shingles, whose union exceeds the sketch, with as few common ones as a link needs, or one less."""
+    texts = []
+    for k in range(60):
+        n, m = 60 + k % 7, 60 + k // 7 % 7
+        common = -(-80 * (n + m) // 180) - k % 2  # 100 c >= 80 (n + m - c)
+        words = [f"w{k}x{i}" for i in range(n + m - common)]
+        texts += [" ".join(words[:n]), " ".join(words[n - common :])]
+    sets, least = brute_force(texts, 80, 1)
+    assert 20 < sum(c != i for i, c in enumerate(least)) < 40
+    rows = {r["doc_id"]: r for r in nd.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), 80, 1).collect()}
+    assert [rows[i]["component_id"] for i in range(len(texts))] == least
+
+
 def test_odd_rows(odd):
     rows = nd.near_duplicates(odd).collect()
     assert sorted((r["doc_id"] or -1, r["component_id"] or -1, r["kept"]) for r in rows) == [(-1, -1, True), (1, 1, True), (1, 1, True), (2, 2, True)]
