@@ -1,9 +1,11 @@
 """Language-model scoring with a hierarchy of Pitman-Yor processes.
 
-A text is a sequence of words and one end. Words are served in one restaurant whose parent spells
-them: a hierarchy over characters, in which the restaurant of a context of three characters has as its
-parent that of the last two, and so on down to a uniform base. A word's tables are its customers in the
-parent, so spelling is learned from kinds of words rather than from the commonest ones.
+A text is a sequence of words and one end. A word is served in the restaurant of the word before it (of
+the end, at the start of a text). The parent of all these is one restaurant without context, whose
+parent spells the words: a hierarchy over characters, in which the restaurant of a context of three
+characters has as its parent that of the last two, and so on down to a uniform base. The tables of a
+word in one restaurant are its customers in the parent, so a word that follows many others is likely
+after an unknown one, and spelling is learned from kinds of words rather than from the commonest ones.
 
 The outcomes are those of the add-one base: the words seen in training, and one for all others. So a
 word never seen has the probability of a new table with any spelling that is not in the vocabulary.
@@ -11,11 +13,13 @@ word never seen has the probability of a new table with any spelling that is not
 Seating follows the Chinese restaurant process and is sampled by Gibbs sweeps: all customers of one
 dish in one restaurant are taken out and seated anew, given the parents' predictive probabilities and
 the other dishes' tables; new tables send customers to the parent. Words are seated by the executors,
-next to the vocabulary; the spelling hierarchy has at most ``SYMBOLS`` ** 4 counts whatever the corpus,
-and is sampled on the driver. Predictive probabilities are averaged over samples.
+next to the counts of word pairs and the vocabulary; the spelling hierarchy has at most ``SYMBOLS`` ** 4
+counts whatever the corpus, and is sampled on the driver. Predictive probabilities are averaged over
+samples.
 
-The vocabulary counts all training texts. For scoring, the most frequent words (a fixed number) are
-broadcast with their scores; the rest meets the vocabulary in a join.
+The vocabulary and the pair counts are those of all training texts; in pairs a word is its 64-bit hash.
+For scoring, the most frequent pairs (a fixed number) are broadcast with their scores; the rest meets
+the pair table in a join.
 """
 
 from __future__ import annotations
@@ -178,97 +182,173 @@ def _spelling_counts(vocab: DataFrame, symbols: dict[int, int], tables: Column)
 
 
 def _seated(vocab: DataFrame, speller: Speller, discount: float, tables: float, samples: int, strength: float, seed: int) -> DataFrame:
-    """``vocab`` with ``spelled`` (natural log) and ``t``, the tables in each of ``samples`` seatings."""
+    """``vocab`` with ``spelled`` (natural log) and ``t``, the tables of ``k`` customers in each of ``samples`` seatings."""
     shared = vocab.sparkSession.sparkContext.broadcast(speller)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rng = np.random.default_rng([seed, TaskContext.get().partitionId()])
         for batch in batches:
             spelled = shared.value.log_words(batch.column(0).to_pylist())
-            c = batch.column(1).to_numpy()
+            k = batch.column(3).to_numpy()
             mass = (strength + discount * tables) * np.exp(spelled)
-            t = np.array([seat(c, mass, discount, rng) for _ in range(samples)]).reshape(samples, -1).T
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(c) + 1) * samples, pa.int32()), pa.array(t.ravel(), pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(spelled, pa.float64()), lists], ["word", "c", "spelled", "t"])
+            t = np.array([seat(k, mass, discount, rng) for _ in range(samples)]).reshape(samples, -1).T
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(k) + 1) * samples, pa.int32()), pa.array(t.ravel(), pa.int64()))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(spelled, pa.float64()), lists], ["word", "c", "h", "k", "spelled", "t"])
 
-    return vocab.mapInArrow(run, "word string, c bigint, spelled double, t array<bigint>")
+    return vocab.select("word", "c", "h", "k").mapInArrow(run, "word string, c bigint, h bigint, k bigint, spelled double, t array<bigint>")
+
+
+def hashed(words: Column) -> Column:
+    """The hashes of a text's words between two ends; neighbours are the pairs."""
+    end = F.array(F.xxhash64(F.lit(END)))
+    return F.concat(end, F.transform(words, lambda w: F.xxhash64(w)), end)
+
+
+def mixed(u: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """One number for a pair of hashes; equal pairs have equal ones."""
+    return u.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) ^ w.view(np.uint64)
+
+
+def pair_counts(df: DataFrame, train: Column) -> DataFrame:
+    """``u``, ``w`` and ``c``, the count in rows where ``train`` holds, for every pair of neighbours in column ``h``."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in (batch.slice(at, 2000) for at in range(0, batch.num_rows, 2000)):
+                u, w, lengths = _pairs(part.column(1))
+                own = np.repeat(part.column(0).to_numpy(), lengths)
+                order = np.argsort(mixed(u, w))
+                u, w, own = u[order], w[order], own[order]
+                new = np.flatnonzero(np.append(True, (u[1:] != u[:-1]) | (w[1:] != w[:-1]))) if len(u) else np.zeros(0, np.int64)
+                c = np.add.reduceat(own, new) if len(u) else own
+                yield pa.RecordBatch.from_arrays([pa.array(u[new]), pa.array(w[new]), pa.array(c)], ["u", "w", "c"])
+
+    rows = df.select(F.coalesce(train, F.lit(False)).cast("bigint").alias("own"), "h")
+    return rows.mapInArrow(count, "u bigint, w bigint, c bigint").groupBy("u", "w").agg(F.sum("c").alias("c"))
+
+
+def _pairs(lists: pa.ListArray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Former and latter members of all neighbours within each list, and their number in each list."""
+    flat = lists.flatten().to_numpy()
+    lengths = np.asarray(pc.list_value_length(lists)).astype(np.int64)
+    first = np.ones(len(flat), bool)
+    first[np.cumsum(lengths)[:-1]] = False
+    first[:1] = False
+    at = np.flatnonzero(first)
+    return flat[at - 1], flat[at], lengths - 1
+
+
+def _contexts(pairs: DataFrame) -> DataFrame:
+    """Of every context: ``of_u``, customers ``cu`` and tables ``tu``."""
+    return pairs.where("c > 0").groupBy(F.col("u").alias("of_u")).agg(F.sum("c").alias("cu"), F.sum("t").alias("tu"))
+
+
+def _seated_pairs(pairs: DataFrame, words: DataFrame, discount: float, samples: int, strength: float, seed: int) -> DataFrame:
+    """``pairs`` with ``t``, the mean tables of all seatings, and ``first``, those of the first; ``words`` has ``h`` and ``p``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rng = np.random.default_rng([seed, 1, TaskContext.get().partitionId()])
+        for batch in batches:
+            c, mass = batch.column(2).to_numpy(), batch.column(3).to_numpy()
+            t = np.array([seat(c, mass, discount, rng) for _ in range(samples)]).reshape(samples, -1)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(t.mean(axis=0)), pa.array(t[0])], ["u", "w", "c", "t", "first"])
+
+    mass = ((strength + discount * F.col("tu")) * F.col("p")).alias("mass")
+    several = pairs.where("c > 1").select("u", "w", "c").join(words.select(F.col("h").alias("w"), "p"), "w").join(_contexts(pairs), F.col("u") == F.col("of_u"))
+    drawn = several.select("u", "w", "c", mass).mapInArrow(run, "u bigint, w bigint, c bigint, t double, first bigint")
+    return drawn.union(pairs.where("c <= 1").select("u", "w", "c", F.col("c").cast("double"), F.col("c")))  # one customer, one table
 
 
 def train(df: DataFrame, train_rows: Column, scratch: Scratch, samples: int = 4, sweeps: int = 2, strength: float = 1.0) -> tuple[DataFrame, dict]:
-    """The scored vocabulary (``word``, ``c``, ``base``, ``score``) of column ``words``, and totals.
+    """The scored pairs (``u``, ``w``, ``c``, ``known``, ``base``, ``score``) of columns ``words`` and ``h``, and totals.
 
-    ``base`` is the add-one unigram's log10 probability, ``score`` that of the hierarchy; words of which
-    ``train_rows`` has none (c = 0) are scored too.
+    ``base`` is the add-one unigram's log10 probability of the latter word, ``score`` that of the
+    hierarchy after the former; pairs of which ``train_rows`` has none (c = 0) are scored too.
     """
     vocab = vocabulary(df, train_rows)
     ends = df.sparkSession.createDataFrame([(END, df.where(train_rows).count())], "word string, c bigint")
-    vocab = scratch.save(vocab.union(ends), "vocabulary")
-    stat = vocab.agg(F.sum("c").alias("n"), F.count_if(F.col("c") > 0).alias("v"), F.count_if(F.col("c") == 1).alias("once"), F.count_if(F.col("c") == 2).alias("twice")).first()
+    vocab = scratch.save(vocab.union(ends).withColumn("h", F.xxhash64("word")), "vocabulary")
+    stat = vocab.agg(F.sum("c").alias("n"), F.count_if(F.col("c") > 0).alias("v")).first()
     n, v = stat["n"] or 0, stat["v"] or 0
-    discount = discount_of(stat["once"], stat["twice"])
     symbols = _symbols(vocab)
-    tables: Column = F.least(F.col("c"), F.lit(1))
-    seated, total = vocab, [float(v)] * samples
-    for k in range(sweeps):
-        speller = Speller(symbols, sample_speller(_spelling_counts(seated, symbols, tables), seed=k + 1))
-        seated = scratch.save(_seated(vocab, speller, discount, total[0], samples, strength, k), f"seated{k}")
+    counted = scratch.save(pair_counts(df, train_rows), "pairs")
+    stat = counted.agg(F.count_if(F.col("c") == 1).alias("once"), F.count_if(F.col("c") == 2).alias("twice")).first()
+    of_pairs = discount_of(stat["once"], stat["twice"])
+    first = F.least(F.col("c"), F.lit(1)).alias("first")
+    pairs = counted.select("u", "w", "c", first.cast("double").alias("t"), first)
+    tables: Column = F.least(F.col("k"), F.lit(1))
+    seated, total = None, [float(v)] * samples
+    for sweep in range(sweeps):
+        customers = pairs.groupBy(F.col("w").alias("h")).agg(F.sum("first").alias("k"))
+        own = vocab if seated is None else seated.select("word", "c", "h", "t")
+        guests = scratch.save(own.join(customers, "h", "left").withColumn("k", F.coalesce("k", F.lit(0).cast("bigint"))), f"customers{sweep}")
+        stat = guests.agg(F.sum("k").alias("k"), F.count_if(F.col("k") == 1).alias("once"), F.count_if(F.col("k") == 2).alias("twice")).first()
+        guest, discount = stat["k"] or 0, discount_of(stat["once"], stat["twice"])
+        speller = Speller(symbols, sample_speller(_spelling_counts(guests, symbols, tables), seed=sweep + 1))
+        seated = scratch.save(_seated(guests, speller, discount, total[0], samples, strength, sweep), f"seated{sweep}")
         sums = seated.agg(*(F.sum(F.get("t", F.lit(i))).alias(f"t{i}") for i in range(samples))).first()
         total = [float(x or 0) for x in sums]
         tables = F.get("t", F.lit(0))
-    c = F.col("c")
-    known = seated.where(c > 0).agg(F.sum(F.exp("spelled"))).first()[0] or 0.0
-    parent = F.when(c > 0, F.exp("spelled")).otherwise(F.lit(max(1.0 - known, 1e-9)))
-    each = [(F.greatest(c - discount * F.get("t", F.lit(i)), F.lit(0.0)) + (strength + discount * total[i]) * parent) / (strength + n) for i in range(samples)]
-    mean = sum(each[1:], each[0]) / samples
-    scored = seated.select("word", "c", F.log10((c + 1) / F.lit(float(n + v + 1))).alias("base"), F.log10(mean).alias("score"))
-    return scratch.save(scored, "scored"), {"n": n, "v": v, "discount": discount, "tables": total}
+        c, k = F.col("c"), F.col("k")
+        known = seated.where(c > 0).agg(F.sum(F.exp("spelled"))).first()[0] or 0.0
+        parent = F.when(c > 0, F.exp("spelled")).otherwise(F.lit(max(1.0 - known, 1e-9)))
+        each = [(F.greatest(k - discount * F.get("t", F.lit(i)), F.lit(0.0)) + (strength + discount * total[i]) * parent) / (strength + guest) for i in range(samples)]
+        words = seated.select("h", (c > 0).alias("known"), F.log10((c + 1) / F.lit(float(n + v + 1))).alias("base"), (sum(each[1:], each[0]) / samples).alias("p"))
+        words = scratch.save(words, f"words{sweep}")
+        if sweep < sweeps - 1:
+            pairs = scratch.save(_seated_pairs(pairs, words, of_pairs, samples, strength, sweep), f"tables{sweep}")
+            scratch.drop("pairs" if sweep == 0 else f"tables{sweep - 1}")
+    joined = pairs.join(words.withColumnRenamed("h", "w"), "w").join(_contexts(pairs), F.col("u") == F.col("of_u"), "left")
+    cu, tu = F.coalesce("cu", F.lit(0)), F.coalesce("tu", F.lit(0.0))
+    mean = (F.greatest(F.col("c") - of_pairs * F.col("t"), F.lit(0.0)) + (strength + of_pairs * tu) * F.col("p")) / (strength + cu)
+    scored = scratch.save(joined.select("u", "w", "c", "known", "base", F.log10(mean).alias("score")), "scored")
+    return scored, {"n": n, "v": v, "discount": of_pairs, "tables": total}
 
 
 def score(df: DataFrame, train_rows: Column, id_col: str = "doc_id", text_col: str = "text", frequent: int = 100_000, **options) -> DataFrame:
     """Per row: id, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score`` and ``score``.
 
     ``train_rows`` tells which rows are learned from. A null text is an empty one: its only token is the
-    end. Rows count one by one, whatever their ids. ``frequent`` words are broadcast. An empty table
+    end. Rows count one by one, whatever their ids. ``frequent`` pairs are broadcast. An empty table
     gives an empty result; without training rows every word is unknown.
     """
     spark = df.sparkSession
     ship(spark)
     scratch = Scratch(spark, "language-model")
     id_type = df.schema[id_col].dataType.simpleString()
-    worded = df.withColumn("words", folded_words(F.col(text_col)))
+    worded = df.withColumn("words", folded_words(F.col(text_col))).withColumn("h", hashed(F.col("words")))
     scored, totals = train(worded, train_rows, scratch, **options)
-    top = scored.where(F.col("c") > 0).orderBy(F.desc("c"), "word").limit(frequent).toArrow()
-    end = scored.where(F.col("word") == END).first()
-    shared = spark.sparkContext.broadcast((top.column("word").combine_chunks(), top.column("base").to_numpy(), top.column("score").to_numpy()))
-    of_end = (int(end["c"] > 0), end["base"], end["score"])
+    top = scored.where(F.col("c") > 0).orderBy(F.desc("c"), "u", "w").limit(frequent).toArrow()
+    held = [top.column(x).to_numpy() for x in ("u", "w", "known", "base", "score")]
+    order = np.argsort(mixed(held[0], held[1]))
+    shared = spark.sparkContext.broadcast([x[order] for x in held])
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, base, model = shared.value
+        of_u, of_w, known, base, model = shared.value
+        keys = mixed(of_u, of_w)
         row = TaskContext.get().partitionId() << 40
-        names = ["row", "id", "n", "known", "base", "score", "word"]
+        names = ["row", "id", "n", "known", "base", "score", "u", "w"]
         for batch in batches:
-            lists = batch.column(1)
-            lengths = np.asarray(pc.list_value_length(lists)).astype(np.int64)
-            flat = lists.flatten()
-            found = pc.fill_null(pc.index_in(flat, value_set=words), -1).to_numpy(zero_copy_only=False)
+            u, w, lengths = _pairs(batch.column(1))
             owner = np.repeat(np.arange(len(lengths)), lengths)
-            hit = found >= 0
+            found = np.minimum(np.searchsorted(keys, mixed(u, w)), max(len(keys) - 1, 0))
+            hit = (of_u[found] == u) & (of_w[found] == w) if len(keys) else np.zeros(len(u), bool)
             at, of = found[hit], owner[hit]
-            sums = [np.bincount(of, weights=w, minlength=len(lengths)) for w in (np.ones(len(at)), base[at], model[at])]
+            sums = [np.bincount(of, weights=x[at], minlength=len(lengths)) for x in (known, base, model)]
             rows = row + np.arange(len(lengths))
-            yield pa.RecordBatch.from_arrays([pa.array(rows), batch.column(0), pa.array(lengths + 1), pa.array(sums[0].astype(np.int64) + of_end[0]), pa.array(sums[1] + of_end[1]), pa.array(sums[2] + of_end[2]), pa.nulls(len(rows), pa.string())], names)
+            empty = pa.nulls(len(rows), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(rows), batch.column(0), pa.array(lengths), pa.array(sums[0].astype(np.int64)), pa.array(sums[1]), pa.array(sums[2]), empty, empty], names)
             missed = owner[~hit]
-            none = pa.nulls(len(missed), pa.int64())
+            none, nothing = pa.nulls(len(missed), pa.int64()), pa.nulls(len(missed), pa.float64())
             if len(missed):
-                yield pa.RecordBatch.from_arrays([pa.array(rows[missed]), batch.column(0).take(pa.array(missed)), none, none, pa.nulls(len(missed), pa.float64()), pa.nulls(len(missed), pa.float64()), flat.filter(pa.array(~hit))], names)
+                yield pa.RecordBatch.from_arrays([pa.array(rows[missed]), pa.nulls(len(missed), batch.column(0).type), none, none, nothing, nothing, pa.array(u[~hit]), pa.array(w[~hit])], names)
             row += len(lengths)
 
-    kind = f"row bigint, id {id_type}, n bigint, known bigint, base double, score double, word string"
-    looked = scratch.save(worded.select(F.col(id_col).alias("id"), "words").mapInArrow(look, kind), "looked")
-    missed = looked.where("word is not null").select("row", "word").groupBy("row", "word").agg(F.count(F.lit(1)).alias("times"))
-    of_rest = missed.join(scored, "word").select("row", F.when(F.col("c") > 0, F.col("times")).otherwise(F.lit(0)).alias("known"), (F.col("times") * F.col("base")).alias("base"), (F.col("times") * F.col("score")).alias("score"))
-    rest = of_rest.groupBy("row").agg(F.sum("known").alias("known2"), F.sum("base").alias("base2"), F.sum("score").alias("score2"))
-    own = looked.where("word is null").drop("word").join(rest, "row", "left")
+    kind = f"row bigint, id {id_type}, n bigint, known bigint, base double, score double, u bigint, w bigint"
+    looked = scratch.save(worded.select(F.col(id_col).alias("id"), "h").mapInArrow(look, kind), "looked")
+    of_rest = looked.where("u is not null").select("row", "u", "w").join(scored.drop("c"), ["u", "w"])
+    rest = of_rest.groupBy("row").agg(F.count_if("known").alias("known2"), F.sum("base").alias("base2"), F.sum("score").alias("score2"))
+    own = looked.where("u is null").drop("u", "w").join(rest, "row", "left")
     plus = lambda c: F.col(c) + F.coalesce(F.col(f"{c}2"), F.lit(0))
     return own.select(F.col("id").alias(id_col), F.col("n").alias("n_tokens"), plus("known").alias("n_known"), F.lit(totals["n"]).cast("bigint").alias("train_tokens"), plus("base").alias("base_score"), plus("score").alias("score"))
 

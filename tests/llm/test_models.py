@@ -118,6 +118,23 @@ def test_language_model(docs, odd, texts):
     assert language_model.score(odd, F.lit(True)).count() == 4 and language_model.score(odd.limit(0), F.lit(True)).count() == 0
 
 
+def test_language_model_hears_the_order_of_words(spark):
+    rng = np.random.default_rng(5)
+    words = [f"w{chr(97 + i)}" for i in range(20)]
+    follow = {w: list(rng.choice(words, 2)) for w in words}
+    texts = []
+    for _ in range(150):
+        text = [str(rng.choice(words))]
+        while len(text) < 40:
+            text.append(str(rng.choice(follow[text[-1]])))
+        texts.append(text)
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)] + [(1000 + i, " ".join(rng.permutation(t))) for i, t in enumerate(texts) if i >= 130]
+    got = {r["doc_id"]: r for r in language_model.score(spark.createDataFrame(rows, "doc_id bigint, text string"), F.col("doc_id") < 130, frequent=15).collect()}
+    for i in range(130, 150):
+        assert math.isclose(got[i]["base_score"], got[1000 + i]["base_score"], rel_tol=1e-9)
+        assert got[i]["score"] > got[1000 + i]["score"] + 10
+
+
 def test_seating_and_probabilities():
     rng = np.random.default_rng(1)
     c = np.array([0, 1, 2, 50, 10_000])
