@@ -85,11 +85,11 @@ def document_rules(df: DataFrame) -> DataFrame:
     ).drop("words")
 
 
-def normalised_lines(text: Column, min_chars: int) -> Column:
-    """A document's lines of at least ``min_chars`` characters as (hash, characters): lower case, trimmed, digits folded."""
+def normalised_lines(text: Column) -> Column:
+    """A document's lines with a word as (hash, characters): lower case, trimmed, digits folded; the characters are those before folding."""
     folded = F.lower(F.regexp_replace(text, "[0-9]+", "0"))
-    lines = F.filter(F.transform(F.split(folded, "\n"), lambda x: F.trim(x)), lambda x: F.length(x) >= min_chars)
-    return F.transform(lines, lambda x: F.struct(F.xxhash64(x).alias("line"), F.length(x).alias("chars")))
+    lines = F.zip_with(F.split(folded, "\n"), F.split(text, "\n"), lambda x, own: F.struct(F.trim(x).alias("x"), F.length(F.trim(own)).alias("chars")))
+    return F.transform(F.filter(lines, lambda y: y["x"].rlike(_WORDED)), lambda y: F.struct(F.xxhash64(y["x"]).alias("line"), y["chars"].alias("chars")))
 
 
 def removed_characters(df: DataFrame, scratch: Scratch, min_documents: int, min_share: float, broadcast_rows: int = 200_000) -> DataFrame:
@@ -120,24 +120,25 @@ def apply_rules(
     max_repeat_percent: int = 20,
     min_documents: int = 20,
     min_share: float = 0.0,
-    min_chars: int = 20,
     max_removed: float = 0.8,
 ) -> DataFrame:
     """The rules' counts, ``base_failed``, ``removed_chars`` and ``kept`` for every row of ``df``.
 
     ``base_failed``: fewer than ``min_words`` words, or more than ``max_repeat_percent`` percent of the
     words in repeated windows. ``kept`` is false for those, and for documents of which removed lines
-    make up more than ``max_removed`` of the characters. A null text has no word; a null host is a host
+    make up more than ``max_removed`` of the characters of all its lines with a word. A null text has no word; a null host is a host
     of its own. Each row counts as one document; rows with equal ids share the sum of their removed
     characters. Other columns are not read. An empty table gives an empty result.
     """
     scratch = Scratch(df.sparkSession, "quality-rules")
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = df.select(F.col(id_col).alias("row"), F.col(host_col).alias("host"), text.alias("text"))
-    parsed = scratch.save(document_rules(rows.withColumn("lines", normalised_lines(F.col("text"), min_chars))).drop("text"), "parsed")
+    parsed = document_rules(rows.withColumn("lines", normalised_lines(F.col("text")))).drop("text")
+    parsed = parsed.withColumn("line_chars", F.aggregate("lines", F.lit(0).cast("bigint"), lambda a, x: a + x["chars"]))
+    parsed = scratch.save(parsed, "parsed")
     removed = removed_characters(parsed, scratch, min_documents, min_share)
     joined = parsed.drop("lines", "host").join(removed, F.col("row").eqNullSafe(F.col("removed_row")), "left")
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > max_repeat_percent * F.col("n_words"))
     lost = F.coalesce(F.col("removed_chars"), F.lit(0).cast("bigint"))
-    depleted = lost > max_removed * (F.col("word_chars") + F.col("n_words"))
+    depleted = lost > max_removed * F.col("line_chars")
     return joined.select(F.col("row").alias(id_col), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), lost.alias("removed_chars"), (~failed & ~depleted).alias("kept"))

@@ -36,6 +36,17 @@ def test_frequent_lines_deplete_documents(spark):
     assert all(got[200 + i] for i in range(5))  # not frequent on that host
 
 
+def test_short_and_digit_heavy_lines_deplete_documents(spark):
+    menu = "\n".join(["Home", "News", "About us", "Contact", "Shop", "Help", "Log in", "Jobs", "Terms", "FAQ", "x"])
+    phones = "\n".join(f"{who} {'0123456789' * 6} or {'9876543210' * 3}" for who in ("office", "sales", "fax line", "night desk", "press"))
+    own = lambda i: " ".join(f"word{chr(97 + i)}x{chr(97 + k)}" for k in range(15))
+    rows = [(i, menu, "a") for i in range(21)] + [(100 + i, phones, "a") for i in range(21)] + [(200 + i, f"{menu}\n \t\n{own(i)}\n{own(i + 1)}", "a") for i in range(8)] + [(300, menu, "b")]
+    got = {r["doc_id"]: r for r in apply_rules(spark.createDataFrame(rows, "doc_id bigint, text string, source string"), min_documents=20).collect()}
+    assert not any(r["base_failed"] for r in got.values())
+    assert {i for i, r in got.items() if r["kept"]} == {*range(200, 208), 300}
+    assert got[0]["removed_chars"] == len(menu.replace("\n", "")) and got[100]["removed_chars"] == len(phones.replace("\n", "")) and got[300]["removed_chars"] == 0
+
+
 def test_rules_on_odd_rows(odd):
     rows = apply_rules(odd).collect()
     assert len(rows) == 4 and {r["n_words"] for r in rows if r["doc_id"] == 2} == {0}
