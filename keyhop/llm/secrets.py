@@ -3,7 +3,8 @@
 One model describes random strings, the other ordinary words and identifiers. Both are first-order
 chains over ASCII, trained from labelled samples: strings that the fixed patterns catch in the corpus
 (and random strings over the usual key alphabets) on one side, the corpus's own words on the other. A
-run of key characters is a secret when the ratio is high enough in total and for each character.
+run of at least six key characters, or such a part of it between separators, is a secret when the ratio
+is high enough in total and for each character; what has no letter is a number, not a key.
 """
 
 from __future__ import annotations
@@ -28,9 +29,14 @@ RANDOM = "random"
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
-RUN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}")
+#: As in the fixed patterns, a shorter string is no key.
+LEAST = 6
+#: 0 no key character, 1 a separator of parts (of paths, names and words), 2 any other key character, 3 a letter.
+_CLASS = np.zeros(128, np.uint8)
+_CLASS[list(b"/-_")] = 1
+_CLASS[list(b"0123456789+=")] = 2
+_CLASS[list(b"ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz")] = 3
 _NAMES = ("passw", "secret", "token", "api")
-_MIXED = re.compile(r"[a-z][A-Z]|[A-Z][a-z][A-Z]")
 
 Span = tuple[int, int, str]
 
@@ -83,22 +89,41 @@ class Ratio:
         return float(self.table[code[:-1], code[1:]].sum())
 
     def is_random(self, s: str) -> bool:
-        """Digits and letters mixed, or capitals inside, and a ratio above both limits."""
-        has_digit = any(map(str.isdigit, s))
-        has_letter = any(map(str.isalpha, s))
-        if not has_letter or not (has_digit or _MIXED.search(s)):
-            return False
+        """At least ``LEAST`` characters with a letter, and a ratio above both limits."""
         ratio = self.score(s)
-        return ratio > self.total and ratio > self.each * len(s)
+        return len(s) >= LEAST and any(map(str.isalpha, s)) and ratio > self.total and ratio > self.each * len(s)
+
+    def random_runs(self, code: np.ndarray, inside: np.ndarray, letters: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Starts and ends of the maximal runs of ``inside``, and which of them are random."""
+        edge = np.flatnonzero(np.diff(inside.astype(np.int8), prepend=0, append=0))
+        start, end = edge[::2], edge[1::2]
+        before = np.zeros(len(code), np.uint8)
+        before[1:] = code[:-1]
+        before[start] = 0
+        sums = np.concatenate(([0.0], np.cumsum(np.where(inside, self.table[before, code], 0))))
+        ratio = sums[end] - sums[start]
+        return start, end, (end - start >= LEAST) & (letters[end] > letters[start]) & (ratio > self.total) & (ratio > self.each * (end - start))
 
     def spans(self, text: str, base: list[Span]) -> list[Span]:
-        """Random runs that touch no base span."""
-        out = []
-        for m in RUN.finditer(text):
-            start, end = m.span()
-            if not any(a < end and start < b for a, b, _ in base) and self.is_random(m.group()):
-                out.append((start, end, RANDOM))
-        return out
+        """Random runs, and random parts of other runs, that touch no base span."""
+        if not text:
+            return []
+        wide = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+        code = np.where(wide < 128, wide, 0).astype(np.uint8)
+        kind = _CLASS[code]
+        letters = np.concatenate(([0], np.cumsum(kind == 3)))
+        taken = np.zeros(len(code) + 1, np.int64)
+        for a, b, _ in base:
+            taken[a + 1 : b + 1] = 1
+        taken = np.cumsum(taken)
+        out: list[Span] = []
+        for least in (1, 2):
+            start, end, found = self.random_runs(code, kind >= least, letters)
+            found &= taken[end] == taken[start]
+            for a, b in zip(start[found].tolist(), end[found].tolist(), strict=True):
+                out.append((a, b, RANDOM))
+                taken[a + 1 :] += np.minimum(np.arange(1, len(taken) - a), b - a)
+        return sorted(out)
 
 
 def train(df: DataFrame, rows: int = 3000, words_per_task: int = 3000, id_col: str = "doc_id", text_col: str = "text") -> Ratio:

@@ -102,6 +102,15 @@ def test_secret_models_separate(spark, odd, sf):
     assert len(rows) == 4 and all(r["spans"] == "" for r in rows) and secrets.scan(odd.limit(0), model).count() == 0
 
 
+def test_secret_models_decide_on_short_single_case_and_parts(spark, sf):
+    model = secrets.train(table(spark, sf, "documents"))
+    found = lambda t: [t[a:b] for a, b, _ in model.spans(t, secrets.base_spans(t))]
+    assert found("the key is x9Kq7ZpW3v for now") == ["x9Kq7ZpW3v"]
+    assert found("use qzxwvkjhpfbgxqzvkwjd or MZXW6YTBOI5GKZLQ") == ["qzxwvkjhpfbgxqzvkwjd", "MZXW6YTBOI5GKZLQ"]
+    assert found("/home/project/example/a8Fk29sLqPz7Xw3NvBt1/configuration/settings/directory") == ["a8Fk29sLqPz7Xw3NvBt1"]
+    assert found("path/to/some/file of 2024-01-02, 9807915762804490 and the ordinary words of a text") == []
+
+
 def test_language_model(docs, odd, texts):
     rows = {r["doc_id"]: r for r in language_model.score(docs, ~language_model.held_out(), frequent=40).collect()}
     fold = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
