@@ -1,4 +1,4 @@
-"""Measuring the scan-to-seek ratio at three granularities: rows of a cursor, and slices of a store."""
+"""Measuring the scan-to-seek ratio at two granularities: rows of a cursor, and slices of a store."""
 
 from __future__ import annotations
 
@@ -50,7 +50,7 @@ def slice_ratio(store: KeyedStore, reads: int = 6) -> float:
 
 
 def calibrate(store: KeyedStore) -> dict[str, float]:
-    """The ratio by granularity."""
+    """The ratio by granularity: of rows, on at most 50,000 of them, and of slices."""
     keys = sorted(joined(list(r)) for r in store.data.select(*store.layout.key_columns).limit(50_000).collect())
     return {"row": row_ratio(keys), "slice": slice_ratio(store)}
 
