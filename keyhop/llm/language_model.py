@@ -15,7 +15,8 @@ dish in one restaurant are taken out and seated anew, given the parents' predict
 the other dishes' tables; new tables send customers to the parent. Words are seated by the executors,
 next to the counts of word pairs and the vocabulary; the spelling hierarchy has at most ``SYMBOLS`` ** 4
 counts whatever the corpus, and is sampled on the driver. Predictive probabilities are averaged over
-samples.
+samples. Random draws come from hashes of the words, the sweep and the sample, so scores repeat however
+the rows are dealt to tasks.
 
 The vocabulary and the pair counts are those of all training texts; in pairs a word is its 64-bit hash.
 For scoring, the most frequent pairs (a fixed number) are broadcast with their scores; the rest meets
@@ -82,25 +83,62 @@ class Speller:
         return np.add.reduceat(self.log_prob[key] - other * np.log(CODE_POINTS), starts)
 
 
-def seat(customers: np.ndarray, mass: np.ndarray, discount: float, rng: np.random.Generator) -> np.ndarray:
+def uniform(keys: np.ndarray, step: int) -> np.ndarray:
+    """Numbers in [0, 1) that depend on key and step alone, so draws repeat however rows are dealt to tasks."""
+    with np.errstate(over="ignore"):
+        z = keys.view(np.uint64) + np.uint64(step) * np.uint64(0x9E3779B97F4A7C15)
+        z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return ((z ^ (z >> np.uint64(31))) >> np.uint64(11)) * 2.0**-53
+
+
+#: Above this mean a binomial draw is a rounded normal one; below, the distribution is inverted.
+INVERTED = 30.0
+
+
+def binomial(n: np.ndarray, p: np.ndarray, keys: np.ndarray, step: int) -> np.ndarray:
+    """A draw for each row from its key and the step (steps that are used together differ by two)."""
+    u = uniform(keys, step)
+    out = (u < p).astype(np.int64)
+    large = np.flatnonzero((n > 1) & (n * p >= INVERTED))
+    if len(large):
+        normal = np.sqrt(-2 * np.log1p(-u[large])) * np.cos(2 * np.pi * uniform(keys[large], step + 1))
+        mean = n[large] * p[large]
+        out[large] = np.clip(np.rint(mean + np.sqrt(mean * (1 - p[large])) * normal), 0, n[large]).astype(np.int64)
+    at = np.flatnonzero((n > 1) & (n * p < INVERTED))
+    m, odds, rest = n[at], p[at] / np.maximum(1 - p[at], 1e-300), u[at]
+    chance, k = (1 - p[at]) ** m, 0
+    while len(at):
+        out[at] = k
+        rest = rest - chance
+        on = (rest >= 0) & (k < m)
+        at, m, odds, rest, chance = at[on], m[on], odds[on], rest[on], chance[on]
+        chance = chance * (m - k) / (k + 1) * odds
+        k += 1
+    return out
+
+
+def seat(customers: np.ndarray, mass: np.ndarray, discount: float, keys: np.ndarray, seed: int = 0) -> np.ndarray:
     """Numbers of tables after seating each dish's customers anew.
 
     ``mass`` is what a new table weighs: (strength + discount * tables of the restaurant) times the
     parent's probability of the dish. Customers enter one by one at first, then in blocks of a tenth of
-    those seated, within which the chance of a new table is taken as constant.
+    those seated, within which the chance of a new table is taken as constant. ``keys`` tell the dishes
+    apart in the draws: a dish's tables depend on its key, its customers, its mass and ``seed``, and not
+    on what stands beside it.
     """
     tables = np.minimum(customers, 1).astype(np.int64)
     at = np.flatnonzero(customers > 1)
     seated, c, weight = np.ones(len(at), np.int64), customers[at].astype(np.int64), np.maximum(mass[at], 0)
-    t = np.ones(len(at), np.int64)
+    t, own, step = np.ones(len(at), np.int64), keys[at], seed << 20
     while len(at):
         block = np.minimum(np.maximum(seated // 10, 1), c - seated)
-        t += rng.binomial(block, weight / (weight + seated - discount * t))
-        seated += block
+        t = t + binomial(block, weight / (weight + seated - discount * t), own, step)
+        seated, step = seated + block, step + 2
         tables[at] = t
         on = seated < c
         if not on.all():
-            at, seated, c, weight, t = at[on], seated[on], c[on], weight[on], t[on]
+            at, seated, c, weight, t, own = at[on], seated[on], c[on], weight[on], t[on], own[on]
     return tables
 
 
@@ -111,7 +149,6 @@ def discount_of(once: float, twice: float) -> float:
 
 def sample_speller(counts: np.ndarray, burn: int = 8, keep: int = 6, strength: float = 1.0, seed: int = 1) -> np.ndarray:
     """Averaged log predictive probabilities of the hierarchy, from the counts of (context, symbol)."""
-    rng = np.random.default_rng(seed)
     shapes = [SYMBOLS ** (k + 1) for k in range(ORDER + 1)]  # level k: contexts of k characters
     uniform = 1 / SYMBOLS
     predictive = [np.full(n, uniform) for n in shapes]
@@ -130,7 +167,7 @@ def sample_speller(counts: np.ndarray, burn: int = 8, keep: int = 6, strength: f
             before = tables[k] if len(tables[k]) else np.minimum(c, 1)
             of_context = before.reshape(-1, SYMBOLS).sum(axis=1)
             got = np.zeros(len(c))
-            got[at] = seat(c[at], (strength + discounts[k] * of_context[at // SYMBOLS]) * base, discounts[k], rng)
+            got[at] = seat(c[at], (strength + discounts[k] * of_context[at // SYMBOLS]) * base, discounts[k], at, (seed * (burn + keep) + sweep) * (ORDER + 1) + k)
             tables[k] = got
             if k:
                 customers[k - 1] = got.reshape(SYMBOLS, -1).sum(axis=0)  # the oldest character is forgotten
@@ -186,12 +223,11 @@ def _seated(vocab: DataFrame, speller: Speller, discount: float, tables: float,
     shared = vocab.sparkSession.sparkContext.broadcast(speller)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rng = np.random.default_rng([seed, TaskContext.get().partitionId()])
         for batch in batches:
             spelled = shared.value.log_words(batch.column(0).to_pylist())
-            k = batch.column(3).to_numpy()
+            k, h = batch.column(3).to_numpy(), batch.column(2).to_numpy()
             mass = (strength + discount * tables) * np.exp(spelled)
-            t = np.array([seat(k, mass, discount, rng) for _ in range(samples)]).reshape(samples, -1).T
+            t = np.array([seat(k, mass, discount, h, seed * samples + i) for i in range(samples)]).reshape(samples, -1).T
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(k) + 1) * samples, pa.int32()), pa.array(t.ravel(), pa.int64()))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(spelled, pa.float64()), lists], ["word", "c", "h", "k", "spelled", "t"])
 
@@ -247,10 +283,10 @@ def _seated_pairs(pairs: DataFrame, words: DataFrame, discount: float, samples:
     """``pairs`` with ``t``, the mean tables of all seatings, and ``first``, those of the first; ``words`` has ``h`` and ``p``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rng = np.random.default_rng([seed, 1, TaskContext.get().partitionId()])
         for batch in batches:
-            c, mass = batch.column(2).to_numpy(), batch.column(3).to_numpy()
-            t = np.array([seat(c, mass, discount, rng) for _ in range(samples)]).reshape(samples, -1)
+            u, w, c, mass = (batch.column(i).to_numpy() for i in range(4))
+            keys = mixed(u, w)
+            t = np.array([seat(c, mass, discount, keys, seed * samples + i) for i in range(samples)]).reshape(samples, -1)
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(t.mean(axis=0)), pa.array(t[0])], ["u", "w", "c", "t", "first"])
 
     mass = ((strength + discount * F.col("tu")) * F.col("p")).alias("mass")
@@ -309,8 +345,10 @@ def score(df: DataFrame, train_rows: Column, id_col: str = "doc_id", text_col: s
     """Per row: id, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score`` and ``score``.
 
     ``train_rows`` tells which rows are learned from. A null text is an empty one: its only token is the
-    end. Rows count one by one, whatever their ids. ``frequent`` pairs are broadcast. An empty table
-    gives an empty result; without training rows every word is unknown.
+    end. Rows count one by one, whatever their ids; repeated rows get equal scores. Texts are read whole
+    at any length. ``frequent`` pairs are broadcast. An empty table gives an empty result; without
+    training rows every word is unknown. Other columns are read by ``train_rows`` alone; columns named
+    ``words`` or ``h`` may exist.
     """
     spark = df.sparkSession
     ship(spark)
