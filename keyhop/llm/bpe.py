@@ -62,30 +62,40 @@ def _byte_letters() -> dict[int, str]:
 _LETTERS = _byte_letters()
 
 
-def _words_vocabulary(tok) -> list[str]:
-    """Vocabulary entries that are whole ASCII words: by construction of the merges the frequent ones."""
-    out = [w[:-4] for w in tok.get_vocab() if w.endswith("</w>")]
-    return [w for w in out if w and w.isascii() and w.isalpha()]
+def plain_words(text: str | None) -> list[str]:
+    """The words whose lengths the two tiers know: those of a plain text; other texts go to the library whole."""
+    return text.lower().split() if text and is_plain(text) else []
 
 
-def frequent_lengths(path: str) -> dict[str, int]:
-    """Token counts of the frequent pre-tokens; its size is bounded by the vocabulary, not by the data."""
-    tok = tokenizer(path)
-    words = _words_vocabulary(tok)
-    return {w: len(e.ids) for w, e in zip(words, tok.encode_batch(words, add_special_tokens=False), strict=True)}
+def frequent_lengths(path: str, words: list[str]) -> dict[str, int]:
+    """Token counts of the given frequent words: the first tier's table."""
+    held = Lengths(path, {})
+    return dict(zip(words, held.values(" ".join(words)), strict=True))
+
+
+class _Tiers(dict):
+    """The first tier, asked first; what it lacks is asked of the second."""
+
+    def __init__(self, frequent: dict, second):
+        super().__init__(frequent)
+        self.second = second
+
+    def __missing__(self, word: str):
+        return self.second(word)
 
 
 class _Cache:
     """word -> value of its pre-tokens together; no pre-token spans white space.
 
-    ``frequent`` is the first tier (pre-token -> value). What it lacks is encoded once and kept, up to
+    ``frequent`` is the first tier. What it lacks is encoded once and kept in the second, up to
     ``limit`` words; then the second tier starts anew.
     """
 
     def __init__(self, path: str, frequent: dict, limit: int):
-        self.tok, self.limit, self.frequent = tokenizer(path), limit, frequent
+        self.tok, self.limit = tokenizer(path), limit
         self.merge = self.tok.model.tokenize
         self.known: dict = {}
+        self.tiers = _Tiers(frequent, self._second)
 
     def of_pre_token(self, piece: str):
         raise NotImplementedError
@@ -93,22 +103,17 @@ class _Cache:
     def joined(self, values: list):
         raise NotImplementedError
 
-    def _learn(self, words: list[str]) -> None:
-        if len(self.known) + len(words) > self.limit:
-            self.known = {}
-        known, frequent = self.known, self.frequent
-        for w in words:
-            if w not in known:
-                known[w] = self.joined([frequent[p] if p in frequent else self.of_pre_token(p) for p in PRE_TOKEN.findall(w)])
+    def _second(self, word: str):
+        held = self.known.get(word)
+        if held is None:
+            if len(self.known) >= self.limit:
+                self.known = {}
+            held = self.known[word] = self.joined(list(map(self.of_pre_token, PRE_TOKEN.findall(word))))
+        return held
 
     def values(self, text: str) -> list:
         """The values of a plain text's words, in order."""
-        words = text.lower().split()
-        try:
-            return list(map(self.known.__getitem__, words))
-        except KeyError:
-            self._learn(words)
-            return list(map(self.known.__getitem__, words))
+        return list(map(self.tiers.__getitem__, text.lower().split()))
 
 
 class Lengths(_Cache):
@@ -116,6 +121,10 @@ class Lengths(_Cache):
 
     def __init__(self, path: str, frequent: dict[str, int], limit: int = 500_000):
         super().__init__(path, frequent, limit)
+        self.table = frequent
+
+    def use(self, frequent: dict[str, int]) -> None:
+        self.table, self.tiers = frequent, _Tiers(frequent, self._second)
 
     def of_pre_token(self, piece: str) -> int:
         return len(self.merge(piece.translate(_LETTERS)))
@@ -160,10 +169,15 @@ class Ids(_Cache):
 
 
 def worker_lengths(path: str, frequent: dict[str, int]) -> Lengths:
-    """This worker's length cache: it outlives the task, so that later tasks find it warm."""
+    """This worker's length cache: it outlives the task, so that later tasks find it warm.
+
+    Another query's table of frequent words replaces the first tier; the second stays.
+    """
     held = _WORKER.get(("lengths", path))
     if held is None:
         held = _WORKER[("lengths", path)] = Lengths(path, frequent)
+    elif held.table is not frequent:
+        held.use(frequent)
     return held
 
 
