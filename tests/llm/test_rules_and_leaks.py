@@ -1,9 +1,11 @@
+import functools
+import random
 import re
 from collections import Counter
 
 from pyspark.sql import functions as F
 
-from keyhop.llm.decontamination import decontaminate, leaks, simhash
+from keyhop.llm.decontamination import bag_similarity, blocks, decontaminate, leaks, listed_values, simhash
 from keyhop.llm.quality_rules import apply_rules
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -84,6 +86,56 @@ def test_leaks_on_odd_rows(spark, odd):
     assert leaks(odd.limit(0), bench).count() == 0 and leaks(odd, bench.limit(0)).count() == 0
 
 
+def test_bag_similarity_counts_multiplicities(spark):
+    rng = random.Random(4)
+    rows = [([rng.randint(0, 5) for _ in range(rng.randint(0, 9))], [rng.randint(0, 5) for _ in range(rng.randint(0, 9))]) for _ in range(200)]
+    got = spark.createDataFrame(rows, "a array<bigint>, b array<bigint>").select("a", "b", bag_similarity(F.col("a"), F.col("b")).alias("s")).collect()
+    for r in got:
+        a, b = Counter(r["a"]), Counter(r["b"])
+        assert abs(r["s"] - ((a & b).total() / (a | b).total() if a or b else 0)) < 1e-12
+
+
+def test_index_finds_all_fingerprints_within_the_radius(spark):
+    rng = random.Random(6)
+    pairs = []
+    for _ in range(2000):
+        x = rng.getrandbits(64)
+        y = x
+        for bit in rng.sample(range(64), rng.randint(0, 20)):
+            y ^= 1 << bit
+        pairs.append(tuple(v - (v >> 63 << 64) for v in (x, y)))
+    df = spark.createDataFrame(pairs, "x bigint, y bigint")
+    listed = [F.array_contains(listed_values(a, 20), b) for a, b in zip(blocks(F.col("x")), blocks(F.col("y")), strict=True)]
+    assert df.where(functools.reduce(lambda p, q: p | q, listed)).count() == len(pairs)
+
+
+def test_recall_of_edited_passages(spark):
+    """Items of all sizes, each with as many words changed at an end as the similarity allows: the radius loses none of them."""
+    rng = random.Random(8)
+    words = [f"{a}{b}{c}" for a in "bdfgk" for b in "aeiou" for c in "lmnrst"]
+    items, docs = [], []
+    for i in range(300):
+        item = [rng.choice(words) for _ in range(rng.randint(12, 80))]
+        n = len(item) - 4
+        cut = max(k for k in range(n) if n - k >= 0.8 * (n + k))
+        held = [rng.choice(words) + "x" for _ in range(cut)] + item[cut:] if i % 2 else item[: len(item) - cut] + [rng.choice(words) + "x" for _ in range(cut)]
+        items.append((i, " ".join(item)))
+        docs.append((i, " ".join([rng.choice(words) for _ in range(30)] + held + [rng.choice(words) for _ in range(30)])))
+    found = leaks(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame(items, "item_id bigint, text string")).where("doc_id = item_id").collect()
+    assert len(found) >= 0.99 * len(items) and min(r["similarity"] for r in found) < 0.82
+
+
+def test_leaks_of_equal_windows_clashing_names_and_long_texts(spark):
+    passage = "alpha beta gamma delta epsilon zeta eta theta"
+    long = " ".join(f"w{i}" for i in range(60_000))
+    rows = [(1, f"{passage} or {passage}", 5, "a"), (2, f"{long} {passage}", 6, "b"), (3, "clean words only", 7, "c")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, leaked int, item string").withColumns({"start": F.lit(1), "n": F.lit(2), "words": F.lit("x")})
+    bench = spark.createDataFrame([(0, passage, 1)], "item_id bigint, text string, doc_id int")
+    assert [(r["doc_id"], r["start_word"], r["similarity"]) for r in leaks(df, bench).orderBy("doc_id").collect()] == [(1, 0, 1.0), (2, 60_000, 1.0)]
+    kept = decontaminate(df, bench)
+    assert kept.columns == df.columns and [r["doc_id"] for r in kept.collect()] == [3]
+
+
 def test_native_plans(docs):
     for df in (apply_rules(docs), leaks(docs, docs.select(F.col("doc_id").alias("item_id"), "text").limit(3))):
         assert not re.search("Python|Pandas|Arrow", df._jdf.queryExecution().toString())
