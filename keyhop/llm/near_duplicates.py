@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from keyhop.llm.components import components
 from keyhop.llm.quality_rules import let
+from keyhop.llm.sampling import fresh_name
 from keyhop.runtime import Scratch
 
 K = 64
@@ -234,6 +235,11 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
 
 
 def keep_one(docs: DataFrame, percent: int = 80, width: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` with one document left of each group of near-duplicates."""
-    found = near_duplicates(docs, percent, width, id_col, text_col).where("not kept").select(F.col(id_col).alias("dropped")).distinct()
-    return docs.join(found, F.col(id_col) == F.col("dropped"), "left_anti")
+    """The rows of ``docs`` with one document left of each group of near-duplicates: that of the smallest id.
+
+    Rows of one id are one document and stay or go together; rows without an id stay. Texts without a
+    word are in no group. Columns of any name are kept, and an empty table stays empty.
+    """
+    dropped = fresh_name(docs, "dropped")
+    found = near_duplicates(docs, percent, width, id_col, text_col).where("not kept").select(F.col(id_col).alias(dropped)).distinct()
+    return docs.join(found, F.col(id_col) == F.col(dropped), "left_anti")

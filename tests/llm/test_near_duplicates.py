@@ -1,7 +1,9 @@
+import random
 import re
 from collections import defaultdict
 
 import pytest
+from pyspark.sql import functions as F
 
 from keyhop.llm import near_duplicates as nd
 from keyhop.llm.components import components
@@ -54,6 +56,32 @@ def test_pairs_of_full_sketches_are_decided_exactly(spark):
     assert [rows[i]["component_id"] for i in range(len(texts))] == least
 
 
+@pytest.mark.parametrize("width", [1, 5])
+def test_recall_near_the_threshold(spark, width):
+    """Pairs of sets of 55 to 900 shingles that just reach the similarity, or just don't: all decided as on full sets."""
+    rng = random.Random(width)
+    texts, want = [], []
+    for k in range(240):
+        n = rng.randint(55, 90) if k % 2 else rng.randint(100, 900)
+        common = -(-80 * 2 * n // 180) - (k % 3 == 0)
+        words = [f"w{k}x{i}" for i in range(2 * n - common + width - 1)]
+        one, two = words[: n + width - 1], words[n - common :]
+        texts += [" ".join(one), " ".join(two)]
+        sets = [{tuple(t[i : i + width]) for i in range(len(t) - width + 1)} for t in (one, two)]
+        want.append(100 * len(sets[0] & sets[1]) >= 80 * len(sets[0] | sets[1]))
+    rows = {r["doc_id"]: r for r in nd.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), 80, width).collect()}
+    assert [rows[2 * k + 1]["component_id"] == 2 * k for k in range(240)] == want and 100 < sum(want) < 200
+
+
+def test_keep_one_with_clashing_names(spark):
+    text = " ".join(f"word{i}" for i in range(40))
+    rows = [(1, text, 0, 0), (2, text + " more", 0, 0), (3, "other words", 0, 0), (None, text, 0, 0), (4, None, 0, 0), (4, None, 0, 0)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, dropped int, component int").withColumns({"n": F.lit(1), "rep": F.lit(2), "key": F.lit(3), "values": F.lit(4)})
+    kept = nd.keep_one(df)
+    assert kept.columns == df.columns and sorted(r["doc_id"] or -1 for r in kept.collect()) == [-1, 1, 3, 4, 4]
+    assert nd.keep_one(df.limit(0)).count() == 0
+
+
 def test_odd_rows(odd):
     rows = nd.near_duplicates(odd).collect()
     assert sorted((r["doc_id"] or -1, r["component_id"] or -1, r["kept"]) for r in rows) == [(-1, -1, True), (1, 1, True), (1, 1, True), (2, 2, True)]
