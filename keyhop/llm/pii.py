@@ -10,7 +10,9 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -296,7 +298,9 @@ def find(df: DataFrame, model: SemiMarkovField, id_col: str = "doc_id", text_col
 
     ``masked`` adds ``masked_text``, in which every span is replaced by its kind in angle brackets. A
     null text is an empty one (its masked text stays null). Spans are code points, end exclusive; a
-    span of the field is kept where it touches no base span. Other columns aren't read.
+    span of the field is kept where it touches no base span. Texts are read whole, in time linear in
+    their length. Repeated rows get equal answers, a null id is carried, an empty table gives an empty
+    result; other columns aren't read, whatever their names.
     """
     spark = df.sparkSession
     ship(spark)
@@ -331,7 +335,9 @@ def every_span(text: str, field: SemiMarkovField, base: list[Span]) -> list[Span
     """The base spans and those of the field that touch none of them, by kind, then start."""
     if not TRIGGER.search(text):
         return base
-    added = [s for s in field.decode(text) if not any(a < s[2] and s[1] < b for _, a, b in base)]
+    held = sorted((a, b) for _, a, b in base)
+    starts, furthest = [a for a, _ in held], list(accumulate((b for _, b in held), max))
+    added = [s for s in field.decode(text) if not (before := bisect_left(starts, s[2])) or furthest[before - 1] <= s[1]]
     return sorted([*base, *added], key=lambda s: (KINDS.index(s[0]), s[1]))
 
 
