@@ -112,17 +112,17 @@ class Ratio:
         code = np.where(wide < 128, wide, 0).astype(np.uint8)
         kind = _CLASS[code]
         letters = np.concatenate(([0], np.cumsum(kind == 3)))
-        taken = np.zeros(len(code) + 1, np.int64)
-        for a, b, _ in base:
-            taken[a + 1 : b + 1] = 1
-        taken = np.cumsum(taken)
+        change = np.zeros(len(code) + 1, np.int64)  # +1 where a taken span starts, -1 where it ends
+        np.add.at(change, [a for a, _, _ in base], 1)
+        np.add.at(change, [b for _, b, _ in base], -1)
         out: list[Span] = []
         for least in (1, 2):
+            taken = np.concatenate(([0], np.cumsum(np.cumsum(change[:-1]) > 0)))
             start, end, found = self.random_runs(code, kind >= least, letters)
             found &= taken[end] == taken[start]
-            for a, b in zip(start[found].tolist(), end[found].tolist(), strict=True):
-                out.append((a, b, RANDOM))
-                taken[a + 1 :] += np.minimum(np.arange(1, len(taken) - a), b - a)
+            out += [(a, b, RANDOM) for a, b in zip(start[found].tolist(), end[found].tolist(), strict=True)]
+            np.add.at(change, start[found], 1)
+            np.add.at(change, end[found], -1)
         return sorted(out)
 
 
@@ -151,7 +151,9 @@ def scan(df: DataFrame, model: Ratio, id_col: str = "doc_id", text_col: str = "t
     """``id_col``, ``n_assign``, ``n_access``, ``n_hex`` (base spans), ``base_sha256`` and ``spans`` of every whole text.
 
     A null text is an empty one, with no span. Spans are code points, end exclusive; a ``random`` span
-    is one that the Markov models add. Repeated rows get equal answers; other columns aren't read.
+    is one that the Markov models add. Texts are scanned whole, in time linear in their length. Repeated
+    rows get equal answers, a null id is carried, an empty table gives an empty result; other columns
+    aren't read, whatever their names.
     """
     spark = df.sparkSession
     ship(spark)
