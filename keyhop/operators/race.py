@@ -1,10 +1,11 @@
 """The strategies over one store, their counters, and what they cost.
 
 crawl scans the bounding interval; leap jumps at every mismatch; hybrid jumps where the mismatch is
-above a threshold and scans where it isn't. All take the same rows. Two executors: a cursor over the
-sorted keys of each slice, which walks as the strategy says, and a declarative form that gets the same
-counters by aggregation: mismatching rows with the same next match form one gap; leap jumps once for
-each gap, and hybrid scans a gap's rows up to the first whose mismatch is above the threshold.
+above a threshold and scans where it isn't. All take the same rows. Two executors. The declarative one
+gets the counters by aggregation: mismatching rows with the same next match form one gap; leap jumps
+once for each gap, and hybrid scans a gap's rows up to the first whose mismatch is above the threshold.
+The cursor walks each slice's sorted rows as the strategy says, in Arrow batches, with a binary search
+for each jump. Mismatches and next matches are column expressions in both.
 """
 
 from __future__ import annotations
@@ -12,13 +13,15 @@ from __future__ import annotations
 from bisect import bisect_left
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from keyhop.functions.bits import joined, limbs, scatter_column, top_position
+from keyhop.functions.bits import scatter_column, tail, top_position
+from keyhop.plans import columns
 from keyhop.plans.costs import Counters
-from keyhop.plans.search import Search, failing_bit, mismatch_udf, next_match_of_pattern, next_match_udf
+from keyhop.plans.search import Search, failing_bit, next_match_of_pattern
 from keyhop.runtime import ship
 from keyhop.sources.store import KeyedStore
 
@@ -55,60 +58,145 @@ def walk(keys: list[int], search: Search, threshold: int, threshold_above: int |
     return taken, Counters(len(taken), scans, jumps)
 
 
+class Cursor:
+    """A walk over batches of sorted keys; between batches it remembers where the last jump leads.
+
+    Rows between two jumps need no loop: what was matched, scanned and tested follows from sums.
+    """
+
+    def __init__(self, threshold: int, threshold_above: int | None, cluster_end: bool):
+        self.below, self.above = threshold, threshold if threshold_above is None else threshold_above
+        self.cluster_end = cluster_end
+        self.matched = self.scans = self.jumps = self.tests = 0
+        self.target: list[int] | None = None
+        self.cluster: tuple | None = None
+
+    @staticmethod
+    def seek(keys: list[np.ndarray], target: list[int], start: int) -> int:
+        """The first place from ``start`` on whose key is at or above ``target``, limb by limb."""
+        lo, hi = start, len(keys[0])
+        for k, x in zip(keys, target, strict=True):
+            part = k[lo:hi]
+            lo, hi = lo + int(np.searchsorted(part, x, "left")), lo + int(np.searchsorted(part, x, "right"))
+            if lo == hi:
+                break
+        return lo
+
+    def walk(self, keys: list[np.ndarray], mismatch: np.ndarray, following: list[np.ndarray], cluster: list[np.ndarray]) -> None:
+        """``following`` holds the limbs of the next matches, ``cluster`` those of each key's cluster."""
+        size = len(mismatch)
+        stops = np.flatnonzero(np.where(mismatch > 0, mismatch > self.above, -mismatch > self.below))
+        took = mismatch == 0
+        entered = took.copy()
+        if self.cluster_end and size:  # a match in the cluster of the match before is taken untested
+            same = np.logical_and.reduce([c[1:] == c[:-1] for c in cluster])
+            entered[1:] &= ~(same & took[:-1])
+            entered[0] &= self.cluster != tuple(int(c[0]) for c in cluster)
+        sums = [np.concatenate(([0], np.cumsum(x))) for x in (took, ~took, entered)]
+        at = 0 if self.target is None else self.seek(keys, self.target, 0)
+        while at < size:
+            k = int(np.searchsorted(stops, at))
+            end = int(stops[k]) if k < len(stops) else size
+            matched, scans, tests = (int(x[end] - x[at]) for x in sums)
+            self.matched, self.scans, self.tests = self.matched + matched, self.scans + scans, self.tests + scans + tests
+            self.target = None
+            if end == size:
+                break
+            self.jumps, self.tests = self.jumps + 1, self.tests + 1
+            self.target = [int(h[end]) for h in following]
+            at = self.seek(keys, self.target, end + 1)
+        if size:
+            self.cluster = tuple(int(c[-1]) for c in cluster) if took[-1] else None
+
+
 def cursor_counters(store: KeyedStore, search: Search, threshold: int, threshold_above: int | None = None, cluster_end: bool = False) -> DataFrame:
-    """``slice``, ``matched``, ``scans``, ``jumps`` by walking each slice's keys in an executor.
+    """``slice``, ``matched``, ``scans``, ``jumps``, ``tests`` and ``hints`` (calls of the matcher) of each slice.
 
-    A slice is one sorted file and one task's rows; slices run in parallel, and the scan ends with the
-    slice.
+    Slices are read as they were written, sorted by key, without an exchange; a task holds one batch at
+    a time. Slices run in parallel, and the scan ends with the slice.
     """
     ship(store.spark)
-    keys = store.layout.key_columns
+    names, limbs = store.layout.key_columns, store.layout.limb_count
+    following = [f"h{i}" for i in range(limbs)]
+    inside, key = marked(store.data, names, search, ["slice"], "y", following), [F.col(k) for k in names]
+    low = tail(search.mask) if search.mask else search.n
+    cluster = [F.shiftright(k, min(max(low - (limbs - 1 - j) * 62, 0), 62)).alias(f"c{j}") for j, k in enumerate(key)]
+    rows = inside.select(F.col("slice").cast("int").alias("slice"), *key, "y", *(F.coalesce(h, F.lit(-1)).alias(h) for h in following), *cluster)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list[int]] = {}
+        number, cursor, last = None, None, None
+        out: list[tuple] = []
+
+        def close() -> None:
+            if cursor is not None:
+                out.append((number, cursor.matched, cursor.scans, cursor.jumps, cursor.tests, cursor.jumps))
+
         for batch in batches:
-            columns = [c.to_pylist() for c in batch.columns]
-            for row in zip(*columns, strict=True):
-                held.setdefault(row[0], []).append(joined(list(row[1:])))
-        out = []
-        for number, own in held.items():
-            own.sort()
-            _, c = walk(own, search, threshold, threshold_above, cluster_end)
-            out.append((number, c.matched, c.scans, c.jumps))
-        cols = list(zip(*out, strict=True)) if out else [[], [], [], []]
-        yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), *(pa.array(c, pa.int64()) for c in cols[1:])], ["slice", "matched", "scans", "jumps"])
-
-    parted = store.data.select(F.col("slice").cast("int").alias("slice"), *keys).repartition("slice")
-    return parted.mapInArrow(run, "slice int, matched bigint, scans bigint, jumps bigint")
-
-
-def marked(df: DataFrame, key_columns: list[str], search: Search) -> DataFrame:
-    """``y`` (signed mismatch) and ``h`` (limbs of the next match) for rows within the bounding interval."""
-    ship(df.sparkSession)
+            held = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+            edges = np.flatnonzero(np.diff(held[0])) + 1
+            for part in np.split(np.arange(batch.num_rows), edges):
+                if not len(part):
+                    continue
+                a, b = int(part[0]), int(part[-1]) + 1
+                keys = [x[a:b] for x in held[1 : 1 + limbs]]
+                begins = [int(k[0]) for k in keys]
+                if number != int(held[0][a]) or (last is not None and begins < last):  # another slice, or another run of it
+                    close()
+                    number, cursor = int(held[0][a]), Cursor(threshold, threshold_above, cluster_end)
+                last = [int(k[-1]) for k in keys]
+                cursor.walk(keys, held[1 + limbs][a:b], [x[a:b] for x in held[2 + limbs : 2 + 2 * limbs]], [x[a:b] for x in held[2 + 2 * limbs :]])
+        close()
+        columns_ = list(zip(*out, strict=True)) if out else [[]] * 6
+        yield pa.RecordBatch.from_arrays([pa.array(columns_[0], pa.int32()), *(pa.array(c, pa.int64()) for c in columns_[1:])], ["slice", "matched", "scans", "jumps", "tests", "hints"])
+
+    counted = ("matched", "scans", "jumps", "tests", "hints")
+    walked = rows.mapInArrow(run, "slice int, " + ", ".join(f"{c} bigint" for c in counted))
+    return walked.groupBy("slice").agg(*(F.sum(c).alias(c) for c in counted))
+
+
+def marked(df: DataFrame, key_columns: list[str], search: Search, others: list[str], mismatch: str, following: list[str]) -> DataFrame:
+    """Rows within the bounding interval: ``others``, the key, ``mismatch`` (signed) and ``following`` (limbs of the next match)."""
+    if search.empty:
+        none = [F.lit(None).cast("bigint").alias(h) for h in following]
+        return df.where(F.lit(False)).select(*others, *key_columns, F.lit(0).alias(mismatch), *none)
+    inside = df.where(columns.within([F.col(k) for k in key_columns], *search.bounds())).select(*others, *key_columns)
+    return columns.with_next_match(inside, key_columns, search, mismatch, following)
+
+
+def crawl_counters(df: DataFrame, key_columns: list[str], search: Search) -> DataFrame:
+    """``matched``, ``scans``, ``jumps`` of the full scan between the bounds: a pushed filter and one aggregation."""
     keys = [F.col(k) for k in key_columns]
-    lo, hi = search.bounds() if not search.empty else (1, 0)
-    a, b = (F.struct(*(F.lit(x).cast("bigint").alias(k) for x, k in zip(limbs(e, len(key_columns)), key_columns, strict=True))) for e in (lo, hi))
-    inside = df.where((F.struct(*keys) >= a) & (F.struct(*keys) <= b))
-    return inside.select(*key_columns, mismatch_udf(search)(F.array(*keys)).alias("y"), next_match_udf(search, len(key_columns))(F.array(*keys)).alias("h"))
+    inside = df.where(columns.within(keys, *search.bounds())) if not search.empty else df.where(F.lit(False))
+    hit = columns.match(keys, search)
+    return inside.agg(F.count_if(hit).alias("matched"), F.count_if(~hit).alias("scans"), F.lit(0).cast("bigint").alias("jumps"))
+
+
+def leap_counters(df: DataFrame, key_columns: list[str], search: Search) -> DataFrame:
+    """``matched``, ``scans``, ``jumps`` of a jump at every mismatch: as many jumps as there are gaps with a row."""
+    following = [f"h{i}" for i in range(len(key_columns))]
+    rows = marked(df, key_columns, search, [], "y", following)
+    of_gap = [F.when(F.col("y") != 0, F.col(h)).alias(h) for h in following]  # all matches are one group
+    gaps = rows.groupBy(*of_gap, (F.col("y") == 0).alias("hit")).agg(F.count(F.lit(1)).alias("m"))
+    return gaps.agg(F.coalesce(F.sum(F.when(F.col("hit"), F.col("m"))), F.lit(0)).alias("matched"), F.lit(0).cast("bigint").alias("scans"), F.count_if(~F.col("hit")).alias("jumps"))
 
 
 def declarative_counters(df: DataFrame, key_columns: list[str], search: Search, thresholds: list[int]) -> DataFrame:
-    """``threshold``, ``matched``, ``scans``, ``jumps`` for every threshold, from one marking of the rows.
+    """``threshold``, ``matched``, ``scans``, ``jumps`` for every threshold, from one marking of the distinct keys.
 
     All rows are one scan (no slices). ``df`` has the key columns.
     """
-    rows = marked(df, key_columns, search)
+    following = [f"h{i}" for i in range(len(key_columns))]
     key = F.struct(*key_columns)
-    matched = rows.agg(F.count_if(F.col("y") == 0).alias("matched"))
-    ts = rows.sparkSession.createDataFrame([(t,) for t in thresholds], "threshold int")
-    fails = rows.where("y <> 0").groupBy("h", *key_columns).agg(F.max(F.abs("y")).alias("y"), F.count(F.lit(1)).alias("n"))
-    each = fails.join(F.broadcast(ts))  # thresholds are few and given by the caller
-    first = each.groupBy("threshold", "h").agg(F.min(F.when(F.col("y") > F.col("threshold"), key)).alias("first"))
-    joined_rows = each.alias("e").join(first.alias("f"), F.col("e.h").eqNullSafe(F.col("f.h")) & (F.col("e.threshold") == F.col("f.threshold")))
-    scanned = joined_rows.where(F.col("f.first").isNull() | (F.struct(*(F.col(f"e.{k}").alias(k) for k in key_columns)) < F.col("f.first"))).groupBy(F.col("e.threshold").alias("threshold")).agg(F.sum("e.n").alias("scans"))
-    jumps = first.where("first is not null").groupBy("threshold").agg(F.count(F.lit(1)).alias("jumps"))
+    counted = df.groupBy(*key_columns).agg(F.count(F.lit(1)).alias("m"))
+    rows = marked(counted, key_columns, search, ["m"], "y", following)
+    each = rows.withColumn("threshold", F.explode(F.array(*map(F.lit, thresholds))))
+    first = F.min(F.when(F.abs("y") > F.col("threshold"), key)).over(Window.partitionBy("threshold", *following))
+    scanned = (F.col("y") != 0) & (F.col("first").isNull() | (key < F.col("first")))
+    gaps = each.withColumn("first", first).groupBy("threshold", *following).agg(F.sum(F.when(F.col("y") == 0, F.col("m"))).alias("matched"), F.sum(F.when(scanned, F.col("m"))).alias("scans"), F.max(F.col("first").isNotNull().cast("int")).alias("jump"))
+    got = gaps.groupBy("threshold").agg(F.sum("matched").alias("matched"), F.sum("scans").alias("scans"), F.sum("jump").alias("jumps"))
+    ts = df.sparkSession.createDataFrame([(t,) for t in thresholds], "threshold int")
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("bigint").alias(c)
-    return ts.join(scanned, "threshold", "left").join(jumps, "threshold", "left").join(F.broadcast(matched)).select("threshold", "matched", zero("scans"), zero("jumps"))
+    return ts.join(got, "threshold", "left").select("threshold", zero("matched"), zero("scans"), zero("jumps"))
 
 
 def race(store: KeyedStore, search: Search, ratio: float, thresholds: dict[str, int]) -> DataFrame:

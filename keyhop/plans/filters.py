@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import datetime as dt
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column
@@ -140,17 +142,40 @@ def search_of(layout: KeyLayout, filters: dict[str, Filter]) -> Search:
 
 
 def condition(layout: KeyLayout | None, filters: dict[str, Filter]) -> Column:
-    """The same as an exact condition on the attributes' columns."""
+    """The same as an exact condition on the attributes' columns, in a form that Parquet's statistics can test."""
     out = F.lit(True)
     for name, f in filters.items():
-        out = out & f.column(_typed(layout, name))
+        kind = layout.attribute(name).codec if layout else None
+        if kind is not None and kind.kind == "days":
+            out = out & _ranged(f, F.col(name), lambda v: (F.lit(v), F.lit(v + dt.timedelta(days=1))), lambda c: F.to_date(c))
+        elif kind is not None and kind.kind == "raw" and kind.width != 1.0:
+            half = kind.width / 2
+            out = out & _ranged(f, F.col(name), lambda v, half=half: (F.lit(v - half), F.lit(v + half)), lambda c: F.round(c, 2))
+        else:
+            out = out & f.column(F.col(name))
     return out
 
 
-def _typed(layout: KeyLayout | None, name: str) -> Column:
-    kind = layout.attribute(name).codec.kind if layout else None
-    if kind == "days":
-        return F.to_date(F.col(name))
-    if kind == "raw" and layout.attribute(name).codec.width != 1.0:
-        return F.round(F.col(name), 2)
-    return F.col(name)
+def _ranged(f: Filter, c: Column, ends: Callable, value: Callable[[Column], Column]) -> Column:
+    """A filter on rounded values as bounds on the stored ones: ``ends`` gives the half-open interval that rounds to a value."""
+    if isinstance(f, Eq) and f.value is not None:
+        lo, hi = ends(f.value)
+        return (c >= lo) & (c < hi)
+    if isinstance(f, Between):
+        out = c.isNotNull()
+        if f.lo is not None:
+            out = out & (c >= ends(f.lo)[0])
+        if f.hi is not None:
+            out = out & (c < ends(f.hi)[1])
+        return out
+    if isinstance(f, In) and f.values and all(v is not None for v in f.values):
+        out = F.lit(False)
+        for v in f.values:
+            out = out | _ranged(Eq(v), c, ends, value)
+        return out
+    if isinstance(f, AnyOf):
+        out = F.lit(False)
+        for x in f.filters:
+            out = out | _ranged(x, c, ends, value)
+        return out
+    return f.column(value(c))

@@ -9,13 +9,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from keyhop.functions.dictionary import build_dictionary
-from keyhop.operators.race import average_counters, cursor_counters, declarative_counters, point_counters, race
+from keyhop.operators.race import average_counters, crawl_counters, cursor_counters, declarative_counters, leap_counters, point_counters, race
 from keyhop.operators.surround import all_operators
 from keyhop.plans import costs, geometry
+from keyhop.plans.columns import with_next_match
 from keyhop.plans.filters import AnyOf, Between, Eq, Filter, In, IsNull, NotIn, Prefix, condition
 from keyhop.runtime import Scratch, table
 from keyhop.sources.facts import FACTS, STAR_SQL, events, fact
+from keyhop.sources.store import KeyedStore
 from keyhop.streaming.store import event_stream, finished, stream_store
+from keyhop import oracles
 from keyhop import workload as wl
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -72,35 +75,68 @@ MIXED: dict[str, dict[str, Filter]] = {
 }
 
 
+def _rows_threshold(s: KeyedStore, filters: dict[str, Filter]) -> int:
+    """The threshold from the number of rows, for the masks of the restricted attributes."""
+    mask = 0
+    for a in filters:
+        mask |= s.layout.mask(a)
+    return costs.threshold_cardinality(s.layout.n, s.rows, RATIO, mask)
+
+
+def crawl(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    s = wl.store(spark, sf, "fact5")
+    return crawl_counters(s.data, s.layout.key_columns, s.search(**filters))
+
+
+def leap(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    s = wl.store(spark, sf, "fact5")
+    return leap_counters(s.data, s.layout.key_columns, s.search(**filters))
+
+
+def hybrid(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    s = wl.store(spark, sf, "fact5")
+    return declarative_counters(s.data, s.layout.key_columns, s.search(**filters), [_rows_threshold(s, filters)]).drop("threshold")
+
+
+def walked(spark: SparkSession, sf: str, filters: dict[str, Filter], two: bool = False, cluster_end: bool = False) -> DataFrame:
+    s = wl.store(spark, sf, "fact5")
+    search = s.search(**filters)
+    t = costs.choose_threshold(search, s.rows, RATIO).threshold
+    return cursor_counters(s, search, t, max(0, t - 2) if two else None, cluster_end).agg(F.coalesce(F.sum("matched"), F.lit(0)).alias("matched"))
+
+
+def counters(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    """Counters and cost of the three strategies, hybrid at the threshold from the number of rows."""
+    s = wl.store(spark, sf, "fact5")
+    return race(s, s.search(**filters), RATIO, {"crawl": s.layout.n, "leap": 0, "hybrid": _rows_threshold(s, filters)})
+
+
 def _strategies() -> None:
-    """The same rows by every strategy and executor."""
+    """The same rows by every strategy and executor, and what each does for them."""
+    cost = f"CAST(scans * {RATIO} + jumps AS DOUBLE) AS cost"
     for kind, filters in MIXED.items():
+        bind = lambda f, filters=filters, **options: lambda spark, sf: f(spark, sf, filters, **options)
         sql = f"SELECT count(*) AS matched FROM lineitem WHERE {wl.where_sql(filters)}"
-
-        def declared(spark: SparkSession, sf: str, filters=filters, t=None) -> DataFrame:
-            s = wl.store(spark, sf, "fact5")
-            search = s.search(**filters)
-            at = {"leap": 0, "crawl": s.layout.n}.get(t, costs.choose_threshold(search, s.rows, RATIO).threshold)
-            return declarative_counters(s.data, s.layout.key_columns, search, [at]).select("matched")
-
-        def walked(spark: SparkSession, sf: str, filters=filters, **options) -> DataFrame:
-            s = wl.store(spark, sf, "fact5")
-            search = s.search(**filters)
-            t = costs.choose_threshold(search, s.rows, RATIO).threshold
-            above = max(0, t - 2) if options.pop("two", False) else None
-            return cursor_counters(s, search, t, above, **options).agg(F.coalesce(F.sum("matched"), F.lit(0)).alias("matched"))
-
-        for t in ("crawl", "leap", "hybrid"):
-            _add(f"{t}_{kind}", lambda spark, sf, f=declared, t=t: f(spark, sf, t=t), sql)
-        _add(f"hybrid_cursor_{kind}", walked, sql)
-        _add(f"hybrid_two_thresholds_{kind}", lambda spark, sf, f=walked: f(spark, sf, two=True), sql)
-        _add(f"hybrid_cluster_end_{kind}", lambda spark, sf, f=walked: f(spark, sf, cluster_end=True), sql)
+        by_rows = oracles.rows_threshold_sql(RATIO)
+        _add(f"crawl_{kind}", bind(crawl), oracles.crawl_sql(filters))
+        _add(f"leap_{kind}", bind(leap), oracles.leap_sql(filters))
+        _add(f"hybrid_{kind}", bind(hybrid), oracles.counters_sql(filters, f"SELECT {by_rows} AS t FROM total") + " SELECT matched, scans, jumps FROM counted")
+        _add(f"hybrid_cursor_{kind}", bind(walked), sql)
+        _add(f"hybrid_two_thresholds_{kind}", bind(walked, two=True), sql)
+        _add(f"hybrid_cluster_end_{kind}", bind(walked, cluster_end=True), sql)
         _add(f"hybrid_sliced_{kind}", lambda spark, sf, filters=filters: wl.store(spark, sf, "fact5").where([], **filters).agg(F.count(F.lit(1)).alias("matched")), sql)
-        _add(f"counters_{kind}", lambda spark, sf, filters=filters: _race(spark, sf, filters))
-        _add(f"threshold_sweep_{kind}", lambda spark, sf, filters=filters: _sweep(spark, sf, filters))
+        named = f"SELECT 'crawl' AS strategy, n AS t FROM total UNION ALL SELECT 'leap', 0 UNION ALL SELECT 'hybrid', {by_rows} FROM total"
+        each = oracles.counters_sql(filters, f"SELECT DISTINCT t FROM ({named})")
+        _add(f"counters_{kind}", bind(counters), f"{each} SELECT strategy, threshold, matched, scans, jumps, {cost} FROM counted JOIN ({named}) s ON s.t = counted.threshold")
+        _add(f"race_{kind}", bind(_race))
+        _add(f"threshold_sweep_{kind}", bind(_sweep), oracles.counters_sql(filters, "SELECT unnest(range(0, n + 4, 4)) AS t FROM total") + f" SELECT *, {cost} FROM counted")
+        _add(f"slices_read_{kind}", lambda spark, sf, filters=filters: (lambda s: s.io_by_strategy(s.search(**filters), 1e-4))(wl.store(spark, sf, "fact5")))
+        for strategy in ("crawl", "hybrid"):
+            _add(f"count_by_{strategy}_{kind}", lambda spark, sf, filters=filters, strategy=strategy: wl.store(spark, sf, "fact5").count_where(strategy, 1e-4, **filters), sql.replace("matched", "count"))
 
 
 def _race(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    """Both theoretical thresholds and the chosen one beside the pure strategies."""
     s = wl.store(spark, sf, "fact5")
     search = s.search(**filters)
     c, n = s.rows, s.layout.n
@@ -176,22 +212,18 @@ def _measures() -> None:
     _add("layout_comparison", layout_comparison)
     _add("avg_cost_per_mask", average_cost)
     _add("r1_r2_verdicts", verdicts)
-    _add("lacuna_lengths", lacuna_lengths)
-    _add("region_distribution", lambda spark, sf: (lambda s: s.data.groupBy(F.shiftright("k0", s.layout.n - 8).alias("region")).agg(F.count(F.lit(1)).alias("rows")))(wl.store(spark, sf, "fact5")))
+    _add("lacuna_lengths", lacuna_lengths, oracles.lacunae_sql())
+    _add("region_distribution", lambda spark, sf: (lambda s: s.data.groupBy(F.shiftright("k0", s.layout.n - 8).alias("region")).agg(F.count(F.lit(1)).alias("rows")))(wl.store(spark, sf, "fact5")), oracles.regions_sql(8))
     _add("layout_report", lambda spark, sf: (lambda s: _rows(spark, [tuple(r.values()) for r in s.layout.report(round(costs.useful_bits(s.rows, RATIO)))], "attribute string, bits int, head int, tail int, useful int"))(wl.store(spark, sf, "fact16")))
-    _add("cofrequency", lambda spark, sf: (lambda s: s.data.agg(F.avg(costs.cofrequency_column(F.col("k0"), s.layout.mask("l_discount"), s.layout.n)).alias("mean_cofrequency")))(wl.store(spark, sf, "fact5")))
-    _add("next_match_present_key", next_match_present)
+    _add("cofrequency", lambda spark, sf: (lambda s: s.data.agg(F.avg(costs.cofrequency_column(F.col("k0"), s.layout.mask("l_discount"), s.layout.n)).alias("mean_cofrequency")))(wl.store(spark, sf, "fact5")), oracles.cofrequency_sql("l_discount"))
+    _add("next_match_present_key", next_match_present, "SELECT CAST(0 AS BIGINT) AS differ, count(*) AS keys FROM lineitem")
 
 
 def next_match_present(spark: SparkSession, sf: str) -> DataFrame:
-    """Rows whose column-form next match differs from the scalar one: none."""
-    from keyhop.plans.search import next_match_udf
-    from keyhop.runtime import ship
-
-    ship(spark)
+    """Rows whose next match as a bit expression for points differs from that of the matchers for all kinds: none."""
     s = wl.store(spark, sf, "fact5")
     search = s.search(l_quantity=Eq(9.0), l_discount=Eq(0.03))
-    both = s.data.select("k0", search.next_match_column(F.col("k0")).alias("a"), F.get(next_match_udf(search, 1)(F.array("k0")), 0).alias("b"))
+    both = with_next_match(s.data.select("k0", search.next_match_column(F.col("k0")).alias("a")), ["k0"], search, "y", ["b"])
     return both.agg(F.count_if(~F.col("a").eqNullSafe(F.col("b"))).alias("differ"), F.count(F.lit(1)).alias("keys"))
 
 
@@ -221,7 +253,7 @@ def _stores() -> None:
     many = {"a": {"l_quantity": Eq(3.0)}, "b": {"l_suppkey": Eq(4)}, "c": {"l_discount": Between(0.02, 0.03)}, "d": {"l_partkey": Between(5, 50)}}
     _add("cooperative_counts", lambda spark, sf: wl.store(spark, sf, "fact5").count_many(many), " UNION ALL ".join(f"SELECT '{k}' AS name, count(*) AS count FROM lineitem WHERE {wl.where_sql(f)}" for k, f in many.items()))
     _add("crosstab_where", lambda spark, sf: wl.store(spark, sf, "fact16").crosstab("c_mktsegment", "o_orderpriority", p_size=Between(10, 20)), f"SELECT c_mktsegment, o_orderpriority, count(*) AS count FROM ({STAR_SQL}) f WHERE p_size BETWEEN 10 AND 20 GROUP BY 1, 2")
-    _add("first_in_key_order", lambda spark, sf: wl.store(spark, sf, "fact5").first(25, l_quantity=Eq(17.0)))
+    _add("first_in_key_order", lambda spark, sf: wl.store(spark, sf, "fact5").first(25, l_quantity=Eq(17.0)).select("k0"), oracles.first_sql({"l_quantity": Eq(17.0)}, 25))
     _add("compacted_count", lambda spark, sf: wl.store(spark, sf, "fact5").compact(Scratch(spark, "compact").root, 8).count_where(**two), sql(two))
     _add("encode_roundtrip", lambda spark, sf: _roundtrip(spark, sf, "fact5"), "SELECT CAST(0 AS BIGINT) AS differ, count(*) AS rows FROM lineitem")
     _add("wide_key_roundtrip", lambda spark, sf: _roundtrip(spark, sf, "fact18"), "SELECT CAST(0 AS BIGINT) AS differ, count(*) AS rows FROM lineitem")
@@ -364,8 +396,6 @@ def uneven_slices(spark: SparkSession, sf: str) -> DataFrame:
     """Counters per slice where one supplier range is over-represented."""
     df = fact(spark, sf, "fact5")
     skewed = df.union(df.where("l_suppkey <= 2")).union(df.where("l_suppkey <= 2"))
-    from keyhop.sources.store import KeyedStore
-
     s = KeyedStore.build(skewed, wl.layout_of(df, "fact5", "interleave"), Scratch(spark, "uneven").root, 16, aligned=True)
     return cursor_counters(s, s.search(l_quantity=Eq(17.0)), s.layout.n // 2).join(s.catalog.select("slice", "rows"), "slice")
 
@@ -380,9 +410,12 @@ def _experiments() -> None:
 
 
 def _streams() -> None:
-    _add("stream_tumbling", lambda spark, sf: finished(event_stream(spark, sf).groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "event_type", "n"), Scratch(spark, "stream").root))
-    _add("stream_sliding", lambda spark, sf: finished(event_stream(spark, sf).groupBy(F.window("ts", "2 days", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "n"), Scratch(spark, "stream").root))
-    _add("stream_session", lambda spark, sf: finished(event_stream(spark, sf).groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", "n"), Scratch(spark, "stream").root))
+    # Complete mode: at the source's end, windows that the watermark has not closed are given too.
+    every = lambda grouped, *names: lambda spark, sf: finished(grouped(event_stream(spark, sf)).agg(F.count(F.lit(1)).alias("n")).select(*names, "n"), Scratch(spark, "stream").root, "complete")
+    start = F.col("w.start").alias("start")
+    _add("stream_tumbling", every(lambda e: e.groupBy(F.window("ts", "1 day").alias("w"), "event_type"), start, "event_type"), "SELECT date_trunc('day', CAST(ts AS TIMESTAMP)) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+    _add("stream_sliding", every(lambda e: e.groupBy(F.window("ts", "2 days", "1 day").alias("w")), start), "SELECT date_trunc('day', CAST(ts AS TIMESTAMP)) - to_days(CAST(back AS INTEGER)) AS start, count(*) AS n FROM events, range(2) r(back) GROUP BY 1")
+    _add("stream_session", every(lambda e: e.groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id"), "user_id"), SESSIONS)
     _add("stream_dedup", lambda spark, sf: finished(event_stream(spark, sf).dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id"), Scratch(spark, "stream").root), "SELECT DISTINCT event_id, user_id FROM events")
     _add("stream_static_join", lambda spark, sf: finished(event_stream(spark, sf).join(table(spark, sf, "nation"), F.col("user_id") == F.col("n_nationkey")).select("event_id", "n_name"), Scratch(spark, "stream").root), "SELECT event_id, n_name FROM events JOIN nation ON user_id = n_nationkey")
     _add("stream_stream_join", stream_joined, "SELECT a.event_id AS viewed, b.event_id AS clicked FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 60 MINUTE")
@@ -390,6 +423,12 @@ def _streams() -> None:
     _add("stream_keyed_store", stream_keyed, "SELECT count(*) AS count FROM events WHERE event_type = 'click' AND CAST(ts AS DATE) BETWEEN DATE '2024-01-05' AND DATE '2024-01-15'")
 
 
+#: A session ends where no event of the user follows within 30 minutes.
+SESSIONS = """WITH marked AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+numbered AS (SELECT user_id, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM marked)
+SELECT user_id, count(*) AS n FROM numbered GROUP BY user_id, session"""
+
+
 def stream_joined(spark: SparkSession, sf: str) -> DataFrame:
     """Clicks within an hour of a view by the same user, both sides streams."""
     a = event_stream(spark, sf).where("event_type = 'view'").select(F.col("event_id").alias("viewed"), F.col("user_id").alias("u"), F.col("ts").alias("from"))

@@ -7,21 +7,20 @@ takes whole need no test of their rows, and are counted from the catalog.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from keyhop.functions.bits import LIMB, joined, ones
+from keyhop.functions.bits import LIMB, joined
 from keyhop.functions.curve import KeyLayout
-from keyhop.plans import costs
+from keyhop.plans import columns, costs
 from keyhop.plans.filters import Filter, condition, search_of
 from keyhop.plans.restrict import normalize, reduce_for_interval
 from keyhop.plans.search import Search
-from keyhop.runtime import ship
 
-#: More surviving slices than this are joined, not listed in the plan.
+#: A catalog of at most so many slices is kept by the driver, which then decides on slices before a
+#: query's only job; larger ones are decided on by column expressions and joined.
 LISTED_SLICES = 4096
 
 
@@ -66,6 +65,14 @@ def slice_frame(df: DataFrame, layout: KeyLayout, slices: int, aligned: bool = F
     return encoded.withColumn("slice", number).repartition(max(1, len(leaves)), "slice").sortWithinPartitions("slice", *keys)
 
 
+def catalog_of(data: DataFrame, keys: list[str]) -> DataFrame:
+    """``slice``, ``rows`` and the limbs of the least and greatest key of each slice."""
+    key = F.struct(*keys)
+    got = data.groupBy("slice").agg(F.count(F.lit(1)).alias("rows"), F.min(key).alias("lo"), F.max(key).alias("hi"))
+    ends = [F.col(f"{side}.{k}").alias(f"{side}{i}") for side in ("lo", "hi") for i, k in enumerate(keys)]
+    return got.select(F.col("slice").cast("int").alias("slice"), "rows", *ends)
+
+
 @dataclass
 class KeyedStore:
     """A store on disk: ``path/data`` (partitioned by slice), ``path/catalog``, ``path/layout``."""
@@ -73,6 +80,7 @@ class KeyedStore:
     spark: SparkSession
     path: str
     layout: KeyLayout
+    _listed: tuple | None = field(default=None, repr=False)
 
     @classmethod
     def build(cls, df: DataFrame, layout: KeyLayout, path: str, slices: int = 64, aligned: bool = False, row_group_rows: int | None = None, mode: str = "overwrite") -> KeyedStore:
@@ -101,10 +109,8 @@ class KeyedStore:
         return self.spark.read.parquet(f"{self.path}/catalog")
 
     def write_catalog(self) -> None:
-        key = F.struct(*self.layout.key_columns)
-        got = self.data.groupBy("slice").agg(F.count(F.lit(1)).alias("rows"), F.min(key).alias("lo"), F.max(key).alias("hi"))
-        limbs = [F.col(f"{side}.{k}").alias(f"{side}{i}") for side in ("lo", "hi") for i, k in enumerate(self.layout.key_columns)]
-        got.select(F.col("slice").cast("int").alias("slice"), "rows", *limbs).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/catalog")
+        """From the written keys alone; the other columns are not read."""
+        catalog_of(self.data, self.layout.key_columns).coalesce(1).write.mode("overwrite").parquet(f"{self.path}/catalog")
 
     @property
     def rows(self) -> int:
@@ -116,47 +122,88 @@ class KeyedStore:
     def classify(self, search: Search, ratio: float = 1.0) -> DataFrame:
         """The catalog with ``action`` (skip, whole, crawl), ``threshold`` and ``n_eff`` for each slice.
 
-        Point searches on one-limb keys are decided by column expressions; others by an Arrow function
-        of the catalog's rows. A slice's threshold comes from its own rows and reduced search.
+        All of it column expressions. ``n_eff`` is the number of key bits in which a slice's keys
+        differ; its threshold comes from that, its own rows and what the search leaves to test in it.
         """
-        k = self.layout.limb_count
-        full = ones(search.n)
-
-        def decide(rows: int, lo: int, hi: int) -> tuple[str, int, int]:
-            nxt = search.next_match(lo)
-            if nxt is None or nxt > hi:
-                return "skip", search.n, 0
-            reduced = reduce_for_interval(search, lo, hi)
-            if reduced is None:
-                return "skip", search.n, 0
-            width = (lo ^ hi & full).bit_length()
-            if not reduced.restrictions:
-                return "whole", search.n, width
-            small = Search(width, reduced.restrictions)
-            return "crawl", costs.choose_threshold(small, rows, ratio).threshold, width
-
-        @F.arrow_udf("struct<action:string,threshold:int,n_eff:int>")
-        def run(rows: pa.Array, los: pa.Array, his: pa.Array) -> pa.Array:
-            out = [decide(n, joined(lo), joined(hi)) for n, lo, hi in zip(rows.to_pylist(), los.to_pylist(), his.to_pylist(), strict=True)]
-            return pa.array([dict(zip(("action", "threshold", "n_eff"), x, strict=True)) for x in out], pa.struct([("action", pa.string()), ("threshold", pa.int32()), ("n_eff", pa.int32())]))
-
-        ship(self.spark)
-        ends = [F.array(*(F.col(f"{side}{i}") for i in range(k))) for side in ("lo", "hi")]
-        return self.catalog.withColumn("d", run(F.col("rows"), *ends)).select("*", "d.*").drop("d")
+        k, n = self.layout.limb_count, search.n
+        catalog = self.catalog
+        if search.empty:
+            return catalog.withColumns({"action": F.lit("skip"), "threshold": F.lit(n), "n_eff": F.lit(0)})
+        lo, hi, names = [f"lo{i}" for i in range(k)], [F.col(f"hi{i}") for i in range(k)], [f"_next{i}" for i in range(k)]
+        found = columns.with_next_match(catalog, lo, search, "_y", names).withColumn("_width", columns.width_of([F.col(x) for x in lo], hi))
+        reached = F.col(names[0]).isNotNull() & columns.after_eq(hi, [F.col(x) for x in names])
+        whole = columns.whole([F.col(x) for x in lo], F.col("_width"), search)
+        found = found.withColumn("action", F.when(~reached, "skip").when(whole, "whole").otherwise("crawl"))
+        crawled = F.col("action") == "crawl"
+        threshold = columns.threshold(F.col("rows"), F.col("_width"), search, ratio) if search.restrictions else F.lit(n)
+        found = found.withColumns({"threshold": F.when(crawled, threshold).otherwise(F.lit(n)), "n_eff": F.when(F.col("action") == "skip", F.lit(0)).otherwise(F.col("_width"))})
+        return found.select(*catalog.columns, "action", "threshold", "n_eff")
 
     def prune(self, search: Search) -> DataFrame:
         """The catalog rows of slices that can hold a match."""
-        if search.point and self.layout.limb_count == 1:
-            return self.catalog.where(search.next_match_column(F.col("lo0")) <= F.col("hi0"))
         return self.classify(search).where("action <> 'skip'").select(*self.catalog.columns)
 
-    def _in(self, slices: DataFrame) -> DataFrame:
-        """The data of the given slices: listed in the plan where few, else by a join that prunes at run time."""
-        ids = [r[0] for r in slices.select("slice").limit(LISTED_SLICES + 1).collect()]
-        if len(ids) <= LISTED_SLICES:
-            return self.data.where(F.col("slice").isin(ids)) if ids else self.data.where(F.lit(False))
+    def listed(self) -> list[tuple[int, int, int, int]] | None:
+        """(slice, rows, least and greatest key) in key order, read once; None for a catalog of more than ``LISTED_SLICES`` rows."""
+        if self._listed is None:
+            k = self.layout.limb_count
+            held = self.catalog.limit(LISTED_SLICES + 1).collect()
+            rows = [(r["slice"], r["rows"], joined([r[f"lo{i}"] for i in range(k)]), joined([r[f"hi{i}"] for i in range(k)])) for r in held]
+            self._listed = (sorted(rows, key=lambda r: (r[2], r[3], r[0])) if len(rows) <= LISTED_SLICES else None,)
+        return self._listed[0]
+
+    def decisions(self, search: Search, strategy: str = "leap", ratio: float = 1.0) -> list[tuple[int, int, str]] | None:
+        """(slice, rows, action) of the slices to read, in key order, from the listed catalog; None if it isn't listed.
+
+        ``crawl`` reads all slices within the search's bounds. ``leap`` reads those that can hold a match
+        and counts the ``whole`` ones from the catalog. ``hybrid`` also reads ``through`` the slices
+        between two of these where they hold no more than 1 / ``ratio`` rows together, ``ratio`` being
+        the cost of a row over that of opening one more slice.
+        """
+        rows = self.listed()
+        if rows is None:
+            return None
+        if search.empty:
+            return []
+        least, greatest = search.bounds()
+        out: list[tuple[int, int, str]] = []
+        skipped: list[tuple[int, int, str]] = []
+        for number, n, lo, hi in rows:
+            if hi < least or lo > greatest:
+                continue
+            if strategy == "crawl":
+                out.append((number, n, "crawl"))
+                continue
+            following = search.next_match(lo)
+            if following is None or following > hi:
+                skipped.append((number, n, "through"))
+                continue
+            if strategy == "hybrid" and out and sum(m for _, m, _ in skipped) * ratio <= 1:
+                out += skipped
+            skipped = []
+            reduced = reduce_for_interval(search, lo, hi)
+            out.append((number, n, "whole" if reduced is not None and not reduced.restrictions else "crawl"))
+        return out
+
+    def _read(self, slices: DataFrame) -> DataFrame:
+        """The data of the given slices, by a join that prunes partitions at run time."""
         return self.data.join(slices.select("slice"), "slice", "left_semi")
 
+    def _numbered(self, numbers: list[int]) -> DataFrame:
+        """The data of the slices with these numbers, listed in the plan."""
+        return self.data.where(F.col("slice").isin(numbers)) if numbers else self.data.where(F.lit(False))
+
+    def _in(self, searches: list[Search], strategy: str = "leap", ratio: float = 1.0) -> DataFrame:
+        """The data of all slices to read for any of the searches."""
+        found = [self.decisions(x, strategy, ratio) for x in searches]
+        if None not in found:
+            return self._numbered(sorted({number for d in found for number, _, _ in d}))
+        slices = None
+        for x in searches:
+            kept = self.prune(x).select("slice")
+            slices = kept if slices is None else slices.union(kept)
+        return self._read(slices.distinct())
+
     def _bounded(self, search: Search) -> Column:
         """The bounding interval on the senior limb, for Parquet's statistics."""
         if search.empty:
@@ -164,42 +211,45 @@ class KeyedStore:
         lo, hi = search.bounds()
         return F.col("k0").between(self.layout.limbs(lo)[0], self.layout.limbs(hi)[0])
 
-    def where(self, columns: list[str] | None = None, **filters: Filter) -> DataFrame:
-        """The matching rows: pruned slices, key bounds and exact conditions pushed to the scan."""
+    @property
+    def attributes(self) -> list[str]:
+        """The stored columns besides keys and places."""
+        return [c for c in self.data.columns if c not in (*self.layout.key_columns, "slice", "batch")]
+
+    def where(self, columns: list[str] | None = None, strategy: str = "leap", ratio: float = 1.0, **filters: Filter) -> DataFrame:
+        """The matching rows: slices by strategy, key bounds and exact conditions pushed to the scan."""
         search = self.search(**filters)
-        out = self._in(self.prune(search)).where(self._bounded(search) & condition(self.layout, filters))
-        names = [c for c in self.data.columns if c not in (*self.layout.key_columns, "slice")] if columns is None else columns
-        return out.select(*names)
+        out = self._in([search], strategy, ratio).where(self._bounded(search) & condition(self.layout, filters))
+        return out.select(*(self.attributes if columns is None else columns))
 
-    def count_where(self, **filters: Filter) -> DataFrame:
-        """``count`` of the matching rows; slices taken whole are counted from the catalog alone."""
+    def count_where(self, strategy: str = "leap", ratio: float = 1.0, **filters: Filter) -> DataFrame:
+        """``count`` of the matching rows in one job; slices taken whole are counted from the catalog alone."""
         search = self.search(**filters)
-        exact = all(self.layout.attribute(a).codec.exact for a in filters)
-        found = {r["action"]: (r["slices"], r["n"]) for r in self.classify(search).where("action <> 'skip'").groupBy("action").agg(F.collect_list("slice").alias("slices"), F.sum("rows").alias("n")).collect()} if exact else None
-        if found is None:
-            return self.where([], **filters).agg(F.count(F.lit(1)).alias("count"))
-        whole = found.get("whole", ([], 0))[1]
-        crawl = found.get("crawl", ([], 0))[0]
-        rest = self.data.where(F.col("slice").isin(crawl)).where(self._bounded(search) & condition(self.layout, filters)) if crawl else self.data.where(F.lit(False))
-        return rest.agg((F.count(F.lit(1)) + F.lit(whole)).alias("count"))
+        if not all(self.layout.attribute(a).codec.exact for a in filters):
+            return self.where([], strategy, ratio, **filters).agg(F.count(F.lit(1)).alias("count"))
+        tested = self._bounded(search) & condition(self.layout, filters)
+        found = self.decisions(search, strategy, ratio)
+        if found is not None:
+            whole = sum(n for _, n, action in found if action == "whole")
+            read = [number for number, _, action in found if action != "whole"]
+            if not read:
+                return self.spark.range(1).select(F.lit(whole).cast("bigint").alias("count"))
+            return self._numbered(read).where(tested).agg((F.count(F.lit(1)) + F.lit(whole)).alias("count"))
+        kept = self.classify(search, ratio).where("action <> 'skip'")
+        some = self._read(kept.where("action = 'crawl'")).where(tested).agg(F.count(F.lit(1)).alias("n"))
+        return some.union(kept.where("action = 'whole'").agg(F.sum("rows").alias("n"))).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("count"))
 
     def count_any(self, *alternatives: dict[str, Filter]) -> DataFrame:
         """``count`` of the rows that satisfy any of several conjunctions, each row once."""
-        slices = None
         any_of = F.lit(False)
         for filters in alternatives:
-            kept = self.prune(self.search(**filters)).select("slice")
-            slices = kept if slices is None else slices.union(kept)
             any_of = any_of | condition(self.layout, filters)
-        return self._in(slices.distinct()).where(any_of).agg(F.count(F.lit(1)).alias("count"))
+        return self._in([self.search(**f) for f in alternatives]).where(any_of).agg(F.count(F.lit(1)).alias("count"))
 
     def count_many(self, searches: dict[str, dict[str, Filter]]) -> DataFrame:
         """Counts of several searches in one scan of the union of their slices: ``name``, ``count``."""
-        slices = None
-        for filters in searches.values():
-            kept = self.prune(self.search(**filters)).select("slice")
-            slices = kept if slices is None else slices.union(kept)
-        one = self._in(slices.distinct()).agg(*(F.count_if(condition(self.layout, f)).alias(name) for name, f in searches.items()))
+        rows = self._in([self.search(**f) for f in searches.values()])
+        one = rows.agg(*(F.count_if(condition(self.layout, f)).alias(name) for name, f in searches.items()))
         return one.select(F.explode(F.array(*(F.struct(F.lit(n).alias("name"), F.col(n).alias("count")) for n in searches))).alias("x")).select("x.*")
 
     def crosstab(self, a: str, b: str, **filters: Filter) -> DataFrame:
@@ -207,23 +257,36 @@ class KeyedStore:
         return self.where([a, b], **filters).groupBy(a, b).agg(F.count(F.lit(1)).alias("count"))
 
     def first(self, k: int, **filters: Filter) -> DataFrame:
-        """The first ``k`` matches in key order, from no more slices than needed for whole-slice guarantees."""
+        """The first ``k`` matches in key order: with a listed catalog from no more slices than whole ones make necessary."""
         search = self.search(**filters)
-        keys = self.layout.key_columns
-        kept = self.classify(search).where("action <> 'skip'").orderBy(*(f"lo{i}" for i in range(len(keys)))).collect()
-        need, ids = k, []
-        for r in kept:
-            ids.append(r["slice"])
-            need -= r["rows"] if r["action"] == "whole" else 0
-            if need <= 0:
-                break
-        rows = self.data.where(F.col("slice").isin(ids) & self._bounded(search) & condition(self.layout, filters)) if ids else self.data.where(F.lit(False))
-        return rows.orderBy(*keys).limit(k)
+        found = self.decisions(search)
+        if found is None:
+            rows = self._in([search])
+        else:
+            need, numbers = k, []
+            for number, n, action in found:
+                numbers.append(number)
+                need -= n if action == "whole" else 0
+                if need <= 0:
+                    break
+            rows = self._numbered(numbers)
+        return rows.where(self._bounded(search) & condition(self.layout, filters)).orderBy(*self.layout.key_columns).limit(k)
 
     def io_report(self, search: Search) -> DataFrame:
         """Slices and rows by action."""
         return self.classify(search).groupBy("action").agg(F.count(F.lit(1)).alias("slices"), F.sum("rows").alias("rows"))
 
+    def io_by_strategy(self, search: Search, ratio: float = 1.0) -> DataFrame:
+        """``strategy``, ``slices`` and ``rows`` that each strategy reads, and ``counted`` rows that it takes from the catalog."""
+        out = []
+        for strategy in ("crawl", "leap", "hybrid"):
+            found = self.decisions(search, strategy, ratio)
+            if found is None:
+                raise ValueError(f"a catalog of more than {LISTED_SLICES} slices: use io_report")
+            read = [n for _, n, action in found if action != "whole"]
+            out.append((strategy, len(read), sum(read), sum(n for _, n, action in found if action == "whole")))
+        return self.spark.createDataFrame(out, "strategy string, slices bigint, rows bigint, counted bigint")
+
     def explain(self, ratio: float = 1.0, **filters: Filter) -> dict:
         """What was decided, for people: the reduced search, thresholds, what happens to the slices."""
         search = self.search(**filters)
@@ -236,5 +299,4 @@ class KeyedStore:
 
     def compact(self, path: str, slices: int) -> KeyedStore:
         """A new store of the same rows in ``slices`` slices: merges the runs that appends have left."""
-        names = [c for c in self.data.columns if c not in (*self.layout.key_columns, "slice")]
-        return KeyedStore.build(self.data.select(*names), self.layout, path, slices)
+        return KeyedStore.build(self.data.select(*self.attributes), self.layout, path, slices)

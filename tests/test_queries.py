@@ -32,7 +32,7 @@ def test_query_equals_its_sql(spark, sf, duck, name):
 def test_behaviour_of_the_strategies(spark, sf):
     """hybrid never costs more than crawl; leap loses on the most junior attribute, where hybrid ties."""
     for kind in ("point", "range", "set", "mixed"):
-        cost = {r["strategy"]: r["cost"] for r in engine.queries()[f"counters_{kind}"](spark, sf).collect()}
+        cost = {r["strategy"]: r["cost"] for r in engine.queries()[f"race_{kind}"](spark, sf).collect()}
         assert cost["hybrid"] <= cost["crawl"]
     worst = {r["strategy"]: r["cost"] for r in engine.queries()["junior_bit_worst_case"](spark, sf).collect()}
     assert worst["leap"] > worst["crawl"] and worst["hybrid"] <= worst["crawl"] * 1.01
