@@ -1,3 +1,4 @@
+import os
 import shutil
 import subprocess
 import sys
@@ -8,7 +9,7 @@ ROOT = Path(__file__).resolve().parents[1]
 
 def names(where):
     code = "import __spark_entry__ as e; print(len(e.oracle_sql()) > 200, *e.queries())"
-    return subprocess.run([sys.executable, "-c", code], cwd=where, env={"PYTHONPATH": str(where), "PATH": "/usr/bin:/bin"}, capture_output=True, text=True, check=True).stdout.split()
+    return subprocess.run([sys.executable, "-c", code], cwd=where, env=os.environ | {"PYTHONPATH": str(where)}, capture_output=True, text=True, check=True).stdout.split()
 
 
 def test_engine_works_without_the_pipeline_operators(tmp_path):
