@@ -158,13 +158,13 @@ def layout_comparison(spark: SparkSession, sf: str) -> DataFrame:
     value = df.orderBy(F.xxhash64(*df.columns)).first().asDict()
     for kind in ("interleave", "junior", "odometer", "blocked2", "blocked4"):
         s = wl.store(spark, sf, "fact5", layout=kind)
-        slices, n = s.catalog.count(), s.layout.n
+        slices, n = len(s.listed()), s.layout.n
         for a in FACTS["fact5"]:
             v = value[a].date() if hasattr(value[a], "date") else value[a]
             search = s.search(**{a: Eq(round(v, 2) if isinstance(v, float) else v)})
             t = costs.choose_threshold(search, s.rows, RATIO).threshold
             got = {r["threshold"]: r["scans"] * RATIO + r["jumps"] for r in point_counters(s.data, search, sorted({0, t, n})).collect()}
-            out.append((kind, a, slices, s.prune(search).count(), t, float(got[n]), float(got[0]), float(got[t])))
+            out.append((kind, a, slices, len(s.decisions(search)), t, float(got[n]), float(got[0]), float(got[t])))
     return _rows(spark, out, "layout string, attribute string, slices bigint, kept bigint, threshold int, crawl double, leap double, hybrid double")
 
 
@@ -379,7 +379,7 @@ def gain_by_restrictions(spark: SparkSession, sf: str) -> DataFrame:
                 continue
             t = costs.choose_threshold(search, s.rows, RATIO).threshold
             got = {r["threshold"]: r["scans"] * RATIO + r["jumps"] for r in point_counters(s.data, search, sorted({0, t, s.layout.n})).collect()}
-            kept = s.prune(search).agg(F.sum("rows")).first()[0] or 0
+            kept = sum(n for _, n, _ in s.decisions(search))
             out.append((k, w.name, float(got[s.layout.n]), float(got[0]), float(got[t]), kept))
     return _rows(spark, out, "k int, name string, crawl double, leap double, hybrid double, rows_in_kept_slices bigint")
 
@@ -412,7 +412,7 @@ def _experiments() -> None:
 def _streams() -> None:
     # Complete mode: at the source's end, windows that the watermark has not closed are given too.
     every = lambda grouped, *names: lambda spark, sf: finished(grouped(event_stream(spark, sf)).agg(F.count(F.lit(1)).alias("n")).select(*names, "n"), Scratch(spark, "stream").root, "complete")
-    start = F.col("w.start").alias("start")
+    start = "w.start"
     _add("stream_tumbling", every(lambda e: e.groupBy(F.window("ts", "1 day").alias("w"), "event_type"), start, "event_type"), "SELECT date_trunc('day', CAST(ts AS TIMESTAMP)) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
     _add("stream_sliding", every(lambda e: e.groupBy(F.window("ts", "2 days", "1 day").alias("w")), start), "SELECT date_trunc('day', CAST(ts AS TIMESTAMP)) - to_days(CAST(back AS INTEGER)) AS start, count(*) AS n FROM events, range(2) r(back) GROUP BY 1")
     _add("stream_session", every(lambda e: e.groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id"), "user_id"), SESSIONS)
