@@ -46,6 +46,7 @@ class Scratch:
         if not base:
             base = os.path.join(tempfile.gettempdir(), "keyhop-scratch")
         self.root = f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
+        self.saved: list[str] = []
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
@@ -53,11 +54,18 @@ class Scratch:
     def save(self, df: DataFrame, name: str) -> DataFrame:
         """Write ``df`` and return the DataFrame that reads it back."""
         df.write.mode("overwrite").option("compression", "zstd").parquet(self.path(name))
+        self.saved.append(name)
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
     def drop(self, name: str = "") -> None:
         """Delete one saved table, or all of them; callers make sure that nothing reads it any more."""
+        self.saved = [x for x in self.saved if name and x != name]
         where = self.path(name) if name else self.root
         jvm = self.spark._jvm
         folder = jvm.org.apache.hadoop.fs.Path(where)
         folder.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+    def keep(self, *names: str) -> None:
+        """Delete all saved tables but these."""
+        for name in [x for x in self.saved if x not in names]:
+            self.drop(name)
