@@ -90,13 +90,14 @@ def estimate(sa: Column, sb: Column) -> Column:
     return let(F.slice(F.sort_array(F.array_union(sa, sb)), 1, K), of)
 
 
-#: Id lists counted to be at most this long are broadcast; beyond it the join shuffles.
-BROADCAST_IDS = 1_000_000
+#: Written lists (of ids, or of list keys with an id) counted to be at most this long are broadcast, which
+#: takes 24 bytes a row at most (12 MB); beyond it the join shuffles, and Spark can split its skewed sides.
+BROADCAST_ROWS = 500_000
 
 
-def sized(ids: DataFrame) -> DataFrame:
-    """A written list of ids, marked for broadcast if it is short enough."""
-    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+def sized(rows: DataFrame) -> DataFrame:
+    """A written list, marked for broadcast if it is short enough."""
+    return F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
 
 
 class Linker:
@@ -164,7 +165,9 @@ def _compare(keyed: DataFrame, groups: DataFrame | None, linker: Linker, scratch
     """
     role = F.col("small") if "small" in keyed.columns else F.lit(True)
     heads = keyed.groupBy("key").agg(F.min(F.when(role, F.col("rep"))).alias("head"), F.min("rep").alias("first"), F.max("rep").alias("last")).where(F.col("head").isNotNull() & (F.col("first") < F.col("last")))
-    listed = keyed.join(heads.select("key", "head"), "key")
+    # Written first: its aggregation doesn't tie the lists' rows to their keys' tasks, so a long list is not one task's.
+    heads = scratch.save(heads.select("key", "head"), f"{label}-heads")
+    listed = keyed.join(sized(heads), "key")
     if "small" not in keyed.columns:
         listed = listed.withColumns({"rest": F.col("n"), "small": F.lit(True)})
     listed = scratch.save(listed, f"{label}-lists")
@@ -172,7 +175,8 @@ def _compare(keyed: DataFrame, groups: DataFrame | None, linker: Linker, scratch
     groups = _merged(groups, linker.links(stars, f"{label}-stars"), scratch, f"{label}-stars")
     placed = _placed(listed.where("rep <> head").select("key", "rep", "n", "rest", "small"), groups)
     open_keys = placed.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("many")).where("low < high").select("key", "many")
-    placed = scratch.save(placed.join(open_keys, "key"), f"{label}-open")
+    open_keys = scratch.save(open_keys, f"{label}-open-keys")
+    placed = scratch.save(placed.join(sized(open_keys), "key"), f"{label}-open")
     few = placed if short is None else placed.where(F.col("many") <= short)
     side = lambda x: few.select("key", "small", F.col("rep").alias(x), F.col("n").alias(f"{x}n"), F.col("rest").alias(f"{x}r"), F.col("component").alias(f"{x}c"))
     fits = (F.col("an") <= F.col("bn")) & similar_size("an", "bn", linker.percent) & ((100 + linker.percent) * F.least("ar", "br") >= linker.percent * (F.col("an") + F.col("bn")))
@@ -207,8 +211,9 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
 
     Two texts are linked where 100 * intersection >= ``percent`` * union of their shingle sets. A text
     without a word has an empty set and no link. Rows with equal ids but different texts are answered each
-    by its own text. A row without an id is linked with nothing and kept. Other
-    columns are not read; an empty table gives an empty result.
+    by its own text. A row without an id is linked with nothing and kept. Texts are read whole at any
+    length. Other columns are not read, whatever their names; an empty table gives an empty result. Of
+    the intermediate tables two are left, which the result reads.
     """
     scratch = Scratch(df.sparkSession, "near-duplicates")
     docs = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
@@ -229,6 +234,8 @@ def near_duplicates(df: DataFrame, percent: int = 80, width: int = 2, id_col: st
         groups, links, _ = _compare(_rare_prefixes(long, linker), groups, linker, scratch, "rare", None)
 
     final = named.join(groups, F.col("rep") == F.col("node"), "left").select("g1", "g2", "gn", F.coalesce("component", "rep").alias("component"))
+    final = scratch.save(final, "final")
+    scratch.keep("parsed", "final")
     out = parsed.drop("sketch").join(final, same & F.col("id").isNotNull(), "left")
     component = F.coalesce(F.col("component"), F.col("id"))
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("id") == component, F.lit(True)).alias("kept"))
