@@ -331,6 +331,7 @@ def train(df: DataFrame, train_rows: Column, scratch: Scratch, samples: int = 4,
         each = [(F.greatest(k - discount * F.get("t", F.lit(i)), F.lit(0.0)) + (strength + discount * total[i]) * parent) / (strength + guest) for i in range(samples)]
         words = seated.select("h", (c > 0).alias("known"), F.log10((c + 1) / F.lit(float(n + v + 1))).alias("base"), (sum(each[1:], each[0]) / samples).alias("p"))
         words = scratch.save(words, f"words{sweep}")
+        scratch.drop(f"customers{sweep}")
         if sweep < sweeps - 1:
             pairs = scratch.save(_seated_pairs(pairs, words, of_pairs, samples, strength, sweep), f"tables{sweep}")
             scratch.drop("pairs" if sweep == 0 else f"tables{sweep - 1}")
@@ -338,6 +339,7 @@ def train(df: DataFrame, train_rows: Column, scratch: Scratch, samples: int = 4,
     cu, tu = F.coalesce("cu", F.lit(0)), F.coalesce("tu", F.lit(0.0))
     mean = (F.greatest(F.col("c") - of_pairs * F.col("t"), F.lit(0.0)) + (strength + of_pairs * tu) * F.col("p")) / (strength + cu)
     scored = scratch.save(joined.select("u", "w", "c", "known", "base", F.log10(mean).alias("score")), "scored")
+    scratch.keep("scored")
     return scored, {"n": n, "v": v, "discount": of_pairs, "tables": total}
 
 
