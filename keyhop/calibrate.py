@@ -3,34 +3,40 @@
 from __future__ import annotations
 
 import time
-from bisect import bisect_left
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from keyhop.functions.bits import joined
 from keyhop.sources.store import KeyedStore
 
 
-def row_ratio(keys: list[int], rounds: int = 3) -> float:
-    """Cost of a step to the next key over cost of a seek to a random key, best of ``rounds``."""
-    if len(keys) < 2:
-        return 1.0
-    rng = np.random.default_rng(1)
-    targets = [keys[i] for i in rng.integers(0, len(keys), min(len(keys), 20_000))]
-    best = float("inf")
-    for _ in range(rounds):
-        start = time.perf_counter()
-        total = 0
-        for k in keys:
-            total ^= k
-        scan = (time.perf_counter() - start) / len(keys)
-        start = time.perf_counter()
-        for t in targets:
-            bisect_left(keys, t)
-        best = min(best, scan / ((time.perf_counter() - start) / len(targets)))
-    return best
+def row_ratio(store: KeyedStore, seeks: int = 200) -> float:
+    """Cost of a step to the next row over cost of a seek, timed in the executors over all keys of all slices.
+
+    In each batch every key is tested against a pattern, and ``seeks`` random keys of it are sought.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rng = np.random.default_rng(1)
+        for batch in batches:
+            keys = batch.column(0).to_numpy()
+            if not len(keys):
+                continue
+            targets = rng.choice(keys, seeks)
+            start = time.perf_counter()
+            np.flatnonzero((keys & keys[0]) == keys[0])
+            middle = time.perf_counter()
+            for t in targets:
+                np.searchsorted(keys, t)
+            end = time.perf_counter()
+            yield pa.RecordBatch.from_arrays([pa.array([len(keys)], pa.int64()), pa.array([middle - start]), pa.array([seeks], pa.int64()), pa.array([end - middle])], ["rows", "scan", "seeks", "seek"])
+
+    timed_rows = store.data.select(store.layout.key_columns[0]).mapInArrow(run, "rows bigint, scan double, seeks bigint, seek double")
+    got = timed_rows.agg(*(F.sum(c).alias(c) for c in ("rows", "scan", "seeks", "seek"))).first()
+    return (got["scan"] / got["rows"]) / (got["seek"] / got["seeks"]) if got["rows"] else 1.0
 
 
 def slice_ratio(store: KeyedStore, reads: int = 6) -> float:
@@ -50,9 +56,8 @@ def slice_ratio(store: KeyedStore, reads: int = 6) -> float:
 
 
 def calibrate(store: KeyedStore) -> dict[str, float]:
-    """The ratio by granularity: of rows, on at most 50,000 of them, and of slices."""
-    keys = sorted(joined(list(r)) for r in store.data.select(*store.layout.key_columns).limit(50_000).collect())
-    return {"row": row_ratio(keys), "slice": slice_ratio(store)}
+    """The ratio by granularity: of rows within a batch, and of slices."""
+    return {"row": row_ratio(store), "slice": slice_ratio(store)}
 
 
 def timed(action, runs: int = 10) -> float:

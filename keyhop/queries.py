@@ -384,6 +384,45 @@ def gain_by_restrictions(spark: SparkSession, sf: str) -> DataFrame:
     return _rows(spark, out, "k int, name string, crawl double, leap double, hybrid double, rows_in_kept_slices bigint")
 
 
+def every_combination(spark: SparkSession, sf: str) -> DataFrame:
+    """All searches on up to three of the 16 attributes, each by point, range or set: what the strategies read, on average.
+
+    One row for each mix of kinds: number of searches, mean share of the slices read by crawl, leap and
+    hybrid, and mean share of the rows that leap takes from the catalog. Searches are dealt to tasks,
+    each with the listed catalog.
+    """
+    import itertools
+
+    from keyhop.runtime import ship
+
+    ship(spark)
+    s = wl.store(spark, sf, "fact16")
+    listed, layout = s.listed(), s.layout
+    rows = [("".join(kinds), ",".join(names)) for k in (1, 2, 3) for names in itertools.combinations(FACTS["fact16"], k) for kinds in itertools.product("PRS", repeat=k)]
+    total = sum(r[1] for r in listed)
+    local = KeyedStore(None, "", layout, (listed,))
+
+    def run(batches):
+        import random
+
+        import pyarrow as pa
+
+        for batch in batches:
+            out = []
+            for kinds, names in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                rng = random.Random(f"{kinds}-{names}")
+                search = local.search(**{n: wl.draw(rng, n, k) for n, k in zip(names.split(","), kinds, strict=True)})
+                found = {x: local.decisions(search, x, 1e-4) for x in ("crawl", "leap", "hybrid")}
+                read = [sum(a != "whole" for _, _, a in found[x]) / len(listed) for x in ("crawl", "leap", "hybrid")]
+                out.append(("".join(sorted(kinds)), *read, sum(n for _, n, a in found["leap"] if a == "whole") / total))
+            columns_ = list(zip(*out, strict=True)) if out else [[]] * 5
+            yield pa.RecordBatch.from_arrays([pa.array(columns_[0], pa.string()), *(pa.array(c, pa.float64()) for c in columns_[1:])], ["kinds", "crawl", "leap", "hybrid", "counted"])
+
+    searches = spark.createDataFrame(rows, "kinds string, names string").repartition(64)
+    read = searches.mapInArrow(run, "kinds string, crawl double, leap double, hybrid double, counted double")
+    return read.groupBy("kinds").agg(F.count(F.lit(1)).alias("searches"), *(F.round(F.avg(c), 9).alias(c) for c in ("crawl", "leap", "hybrid", "counted")))
+
+
 def junior_bit(spark: SparkSession, sf: str) -> DataFrame:
     """A point on the most junior attribute: leap jumps at nearly every row, hybrid falls back to scanning."""
     s = wl.store(spark, sf, "fact5", layout="last:l_discount")
@@ -402,6 +441,7 @@ def uneven_slices(spark: SparkSession, sf: str) -> DataFrame:
 
 def _experiments() -> None:
     _add("gain_by_restrictions", gain_by_restrictions)
+    _add("every_combination", every_combination)
     _add("junior_bit_worst_case", junior_bit)
     _add("uneven_slices", uneven_slices)
     from keyhop.calibrate import calibrate_query
