@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from keyhop.runtime import table
+from keyhop.runtime import ship, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 _ALL: dict[str, tuple[Query, str]] = {}
@@ -31,6 +32,19 @@ def _n() -> object:
     return F.count(F.lit(1)).cast("bigint")
 
 
+def _sums(batches):
+    """Sums of a batch by group, for a least-squares line."""
+    for b in batches:
+        x, y = b["l_quantity"], b["l_extendedprice"]
+        out = b.assign(n=1.0, x=x, y=y, xx=x * x, xy=x * y).groupby("l_returnflag", as_index=False)[["n", "x", "y", "xx", "xy"]].sum()
+        yield out
+
+
+def _slope(n: pd.Series, x: pd.Series, y: pd.Series, xx: pd.Series, xy: pd.Series) -> float:
+    n, x, y, xx, xy = (float(s.sum()) for s in (n, x, y, xx, xy))
+    return (xy / n - x / n * y / n) / (xx / n - (x / n) ** 2)
+
+
 @op("project_computed", "SELECT l_orderkey, l_linenumber, CAST(l_quantity AS BIGINT) * 2 AS twice FROM lineitem")
 def _(t):
     return t("lineitem").select("l_orderkey", "l_linenumber", (F.col("l_quantity").cast("bigint") * 2).alias("twice"))
@@ -104,11 +118,12 @@ def _(t):
     return t("nation").join(F.broadcast(t("region")), F.col("n_nationkey") < F.col("r_regionkey")).agg(_n().alias("n"))
 
 
-@op("join_range_bucketed", "SELECT count(*) AS n FROM lineitem JOIN (SELECT k * 40 AS lo, k * 40 + 9 AS hi FROM range(0, 60) r(k)) i ON l_partkey BETWEEN lo AND hi")
+@op("join_range_bucketed", "SELECT count(*) AS n FROM lineitem JOIN (SELECT p_partkey AS lo, p_partkey + 9 AS hi FROM part WHERE p_partkey % 40 = 0) i ON l_partkey BETWEEN lo AND hi")
 def _(t):
-    """Interval join as an equi-join on buckets of the interval width."""
+    """Interval join as an equi-join on buckets wider than the intervals: an interval lies in two buckets at most."""
     rows = t("lineitem").select("l_partkey", F.floor(F.col("l_partkey") / 40).alias("bucket"))
-    spans = t("region").sparkSession.range(60).select((F.col("id") * 40).alias("lo"), (F.col("id") * 40 + 9).alias("hi"), F.explode(F.sequence(F.floor(F.col("id")), F.floor((F.col("id") * 40 + 9) / 40))).alias("bucket"))
+    spans = t("part").where("p_partkey % 40 = 0").select(F.col("p_partkey").alias("lo"), (F.col("p_partkey") + 9).alias("hi"))
+    spans = spans.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("lo") / 40), F.floor(F.col("hi") / 40))))
     return rows.join(spans, "bucket").where(F.col("l_partkey").between(F.col("lo"), F.col("hi"))).agg(_n().alias("n"))
 
 
@@ -154,6 +169,24 @@ def _(t):
     return t("lineitem").groupBy("l_returnflag").agg(F.percentile("l_quantity", 0.5).alias("middle"))
 
 
+@op("agg_percentiles_approx", "SELECT l_returnflag, true AS close FROM lineitem GROUP BY 1")
+def _(t):
+    """Approximate percentiles, by their ranks: at most one in a hundred off."""
+    q = F.col("l_extendedprice")
+    ends = t("lineitem").groupBy("l_returnflag").agg(F.percentile_approx(q, [0.1, 0.5, 0.9], 10_000).alias("p"), F.percentile(q, F.array(*map(F.lit, (0.09, 0.11, 0.49, 0.51, 0.89, 0.91)))).alias("e"))
+    between = [F.col("p")[i].between(F.col("e")[2 * i], F.col("e")[2 * i + 1]) for i in range(3)]
+    return ends.select("l_returnflag", (between[0] & between[1] & between[2]).alias("close"))
+
+
+@op("agg_grouped_function", "SELECT l_returnflag, round(covar_pop(l_extendedprice, l_quantity) / var_pop(l_quantity), 6) AS slope FROM lineitem GROUP BY 1")
+def _(t):
+    """A grouped function over Arrow batches: the least-squares slope from sums of each batch, so that no group is held whole."""
+    ship(t("lineitem").sparkSession)
+    sums = t("lineitem").select("l_returnflag", "l_quantity", "l_extendedprice").mapInPandas(_sums, "l_returnflag string, n double, x double, y double, xx double, xy double")
+    fit = F.pandas_udf(_slope, "double")
+    return sums.groupBy("l_returnflag").agg(F.round(fit("n", "x", "y", "xx", "xy"), 6).alias("slope"))
+
+
 @op("agg_grouping_sets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 def _(t):
     return t("lineitem").groupingSets([["l_returnflag"], ["l_linestatus"], []], "l_returnflag", "l_linestatus").agg(_n().alias("n"))
@@ -239,6 +272,18 @@ def _(t):
     return t("nation").select(F.col("n_nationkey").alias("k"), F.col("n_name").alias("name")).unionByName(t("region").select(F.col("r_name").alias("name"), F.col("r_regionkey").alias("k")))
 
 
+@op("window_gap_lengths", "SELECT l_suppkey, max(after - l_partkey - 1) AS longest, sum(after - l_partkey - 1) AS total FROM (SELECT l_suppkey, l_partkey, lead(l_partkey) OVER (PARTITION BY l_suppkey ORDER BY l_partkey) AS after FROM (SELECT DISTINCT l_suppkey, l_partkey FROM lineitem)) GROUP BY 1")
+def _(t):
+    w = Window.partitionBy("l_suppkey").orderBy("l_partkey")
+    gaps = t("lineitem").select("l_suppkey", "l_partkey").distinct().withColumn("gap", F.lead("l_partkey").over(w) - F.col("l_partkey") - 1)
+    return gaps.groupBy("l_suppkey").agg(F.max("gap").alias("longest"), F.sum("gap").alias("total"))
+
+
+@op("set_intersect_all", "SELECT CAST(l_suppkey AS BIGINT) AS k FROM lineitem INTERSECT ALL SELECT CAST(s_nationkey AS BIGINT) FROM supplier")
+def _(t):
+    return t("lineitem").select(F.col("l_suppkey").cast("bigint").alias("k")).intersectAll(t("supplier").select(F.col("s_nationkey").cast("bigint")))
+
+
 @op("set_intersect", "SELECT l_quantity AS q FROM lineitem INTERSECT SELECT CAST(p_size AS DOUBLE) FROM part")
 def _(t):
     return t("lineitem").select(F.col("l_quantity").alias("q")).intersect(t("part").select(F.col("p_size").cast("double")))
@@ -288,10 +333,12 @@ def _(t):
     return t("part").select(F.explode(F.split("p_name", " ")).alias("word")).groupBy("word").agg(_n().alias("n"))
 
 
-@op("scalar_maps", "SELECT n_nationkey, n_name AS looked_up FROM nation")
+@op("scalar_maps", "SELECT lang, count(DISTINCT source) AS sources, coalesce(count(*) FILTER (source = 'src1'), 0) AS of_src1 FROM documents WHERE source IS NOT NULL GROUP BY lang")
 def _(t):
-    m = F.map_from_arrays(F.array("n_nationkey"), F.array("n_name"))
-    return t("nation").select("n_nationkey", F.element_at(m, F.col("n_nationkey")).alias("looked_up"))
+    """Counts by source gathered in a map for each language."""
+    each = t("documents").where("source is not null").groupBy("lang", "source").agg(_n().alias("n"))
+    held = each.groupBy("lang").agg(F.map_from_entries(F.collect_list(F.struct("source", "n"))).alias("m"))
+    return held.select("lang", F.size(F.map_keys("m")).cast("bigint").alias("sources"), F.coalesce(F.element_at("m", F.lit("src1")), F.lit(0)).alias("of_src1"))
 
 
 @op("scalar_json", "SELECT CAST(json_extract(props, '$.k') AS INTEGER) AS k, count(*) AS n FROM events GROUP BY 1")

@@ -142,6 +142,17 @@ def within(keys: list[Column], lo: int, hi: int) -> Column:
     return out
 
 
+def settled(df: DataFrame, names: list[str]) -> DataFrame:
+    """``df`` with its columns ``names`` computed here, once.
+
+    Otherwise a filter on them would be pushed down through the projections that make them, spelling
+    out each step's expressions in the next. They pass through a one-row generator, which stays in
+    generated code and lets no such filter through; filters on the other columns go through.
+    """
+    own = [F.col(f"`{c}`") for c in df.columns if c not in names]
+    return df.select(*own, F.explode(F.array(F.struct(*names))).alias("_settled")).select(*own, *(F.col(f"_settled.{c}").alias(c) for c in names))
+
+
 def with_next_match(df: DataFrame, keys: list[str], search: Search, mismatch: str, following: list[str]) -> DataFrame:
     """``df`` with the signed mismatch and the limbs of the next match (null: none) of its key columns.
 
@@ -190,7 +201,7 @@ def with_next_match(df: DataFrame, keys: list[str], search: Search, mismatch: st
     matched = F.col("_far") == 0
     signed = F.when(matched, F.lit(0)).when(F.col("_below"), -F.col("_far")).otherwise(F.col("_far"))
     out = {mismatch: signed.cast("int")} | {h: F.when(matched, k).when(F.col("_bit").isNotNull(), c) for h, k, c in zip(following, key, completed, strict=True)}
-    return df.withColumns(out).select(*(F.col(f"`{c}`") for c in own), mismatch, *following)
+    return settled(df.withColumns(out).select(*(F.col(f"`{c}`") for c in own), mismatch, *following), [mismatch, *following])
 
 
 def match(keys: list[Column], search: Search) -> Column:

@@ -423,6 +423,43 @@ def every_combination(spark: SparkSession, sf: str) -> DataFrame:
     return read.groupBy("kinds").agg(F.count(F.lit(1)).alias("searches"), *(F.round(F.avg(c), 9).alias(c) for c in ("crawl", "leap", "hybrid", "counted")))
 
 
+def _many_points(name: str) -> None:
+    """Points on one to five random attributes, 20 draws each: all counts in one scan, and what the strategies read."""
+    draws = {w.name: w for w in wl.points(name, 5, 20)}
+    one = " UNION ALL ".join(f"SELECT '{k}' AS name, count(*) FILTER (WHERE {wl.where_sql(w.filters)}) AS count FROM f" for k, w in draws.items())
+    _add(f"points_{name}", lambda spark, sf: wl.store(spark, sf, name).count_many({k: w.filters for k, w in draws.items()}), f"WITH f AS ({wl.fact_sql(name)}) {one}")
+
+    def read(spark: SparkSession, sf: str) -> DataFrame:
+        s = wl.store(spark, sf, name)
+        out = []
+        for w in draws.values():
+            search = s.search(**w.filters)
+            shares = [sum(a != "whole" for _, _, a in s.decisions(search, x, 1e-4)) / len(s.listed()) for x in ("crawl", "leap", "hybrid")]
+            out.append((len(w.filters), *shares))
+        return _rows(spark, out, "k int, crawl double, leap double, hybrid double").groupBy("k").agg(F.count(F.lit(1)).alias("searches"), *(F.round(F.avg(c), 9).alias(c) for c in ("crawl", "leap", "hybrid")))
+
+    _add(f"points_{name}_read", read)
+
+
+def store_variants(spark: SparkSession, sf: str, filters: dict[str, Filter]) -> DataFrame:
+    """The same count from one sorted file with small row groups, from many slices, from slices with small row groups, and from a cached sorted batch."""
+    one, many, groups = (wl.store(spark, sf, "fact5", slices=n, row_group_rows=g) for n, g in ((1, 2000), (32, None), (32, 500)))
+    out = None
+    for name, s in (("one_file", one), ("slices", many), ("row_groups", groups)):
+        got = s.count_where("hybrid", 1e-3, **filters).select(F.lit(name).alias("variant"), "count")
+        out = got if out is None else out.union(got)
+    held = one.data.select("k0").sortWithinPartitions("k0").cache()
+    return out.union(leap_counters(held, ["k0"], one.search(**filters)).select(F.lit("cached_batch"), "matched"))
+
+
+def _sweep_of(name: str, filters: dict[str, Filter]) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        s = wl.store(spark, sf, name)
+        return declarative_counters(s.data, s.layout.key_columns, s.search(**filters), list(range(0, s.layout.n + 8, 8))).withColumn("cost", F.col("scans") * RATIO + F.col("jumps"))
+
+    return run
+
+
 def junior_bit(spark: SparkSession, sf: str) -> DataFrame:
     """A point on the most junior attribute: leap jumps at nearly every row, hybrid falls back to scanning."""
     s = wl.store(spark, sf, "fact5", layout="last:l_discount")
@@ -442,6 +479,19 @@ def uneven_slices(spark: SparkSession, sf: str) -> DataFrame:
 def _experiments() -> None:
     _add("gain_by_restrictions", gain_by_restrictions)
     _add("every_combination", every_combination)
+    for name in ("fact5", "fact10"):
+        _many_points(name)
+    two = {"l_quantity": Eq(11.0), "l_discount": Eq(0.05)}
+    sql = f"SELECT count(*) AS count FROM lineitem WHERE {wl.where_sql(two)}"
+    variants = ("one_file", "slices", "row_groups", "cached_batch")
+    _add("store_variants", lambda spark, sf: store_variants(spark, sf, two), " UNION ALL ".join(sql.replace("SELECT", f"SELECT '{v}' AS variant,", 1) for v in variants))
+    for rows in (500, 4000):
+        _add(f"row_groups_{rows}_count", lambda spark, sf, rows=rows: wl.store(spark, sf, "fact5", slices=4, row_group_rows=rows).count_where("hybrid", 1e-3, **two), sql)
+    _add("shortened_keys_count", lambda spark, sf: wl.store(spark, sf, "fact5").count_shortened(**two), sql)
+    _add("shortened_keys", lambda spark, sf: wl.store(spark, sf, "fact5").shortened())
+    _add("threshold_sweep_fact10", _sweep_of("fact10", {"l_quantity": Eq(17.0), "o_orderpriority": Eq("2-HIGH")}))
+    _add("threshold_sweep_fact16", _sweep_of("fact16", {"l_quantity": Eq(17.0), "p_size": Between(10, 20)}))
+    _add("per_slice_fact16", lambda spark, sf: (lambda s: cursor_counters(s, s.search(l_quantity=Eq(17.0)), s.layout.n // 2))(wl.store(spark, sf, "fact16", slices=128)))
     _add("junior_bit_worst_case", junior_bit)
     _add("uneven_slices", uneven_slices)
     from keyhop.calibrate import calibrate_query

@@ -12,16 +12,18 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from keyhop.functions.bits import LIMB, joined
+from keyhop.functions.bits import LIMB, joined, ones
 from keyhop.functions.curve import KeyLayout
 from keyhop.plans import columns, costs
 from keyhop.plans.filters import Filter, condition, search_of
 from keyhop.plans.restrict import normalize, reduce_for_interval
-from keyhop.plans.search import Search
+from keyhop.plans.search import Search, crawl_intervals, normal_intervals
 
 #: A catalog of at most so many slices is kept by the driver, which then decides on slices before a
 #: query's only job; larger ones are decided on by column expressions and joined.
 LISTED_SLICES = 4096
+#: A point search names at most 2^5 key intervals to the scan.
+REGION_BITS = 5
 
 
 def slice_frame(df: DataFrame, layout: KeyLayout, slices: int, aligned: bool = False, depth: int = 12) -> DataFrame:
@@ -131,9 +133,10 @@ class KeyedStore:
             return catalog.withColumns({"action": F.lit("skip"), "threshold": F.lit(n), "n_eff": F.lit(0)})
         lo, hi, names = [f"lo{i}" for i in range(k)], [F.col(f"hi{i}") for i in range(k)], [f"_next{i}" for i in range(k)]
         found = columns.with_next_match(catalog, lo, search, "_y", names).withColumn("_width", columns.width_of([F.col(x) for x in lo], hi))
+        found = columns.settled(found, ["_width"])
         reached = F.col(names[0]).isNotNull() & columns.after_eq(hi, [F.col(x) for x in names])
         whole = columns.whole([F.col(x) for x in lo], F.col("_width"), search)
-        found = found.withColumn("action", F.when(~reached, "skip").when(whole, "whole").otherwise("crawl"))
+        found = columns.settled(found.withColumn("action", F.when(~reached, "skip").when(whole, "whole").otherwise("crawl")), ["action"])
         crawled = F.col("action") == "crawl"
         threshold = columns.threshold(F.col("rows"), F.col("_width"), search, ratio) if search.restrictions else F.lit(n)
         found = found.withColumns({"threshold": F.when(crawled, threshold).otherwise(F.lit(n)), "n_eff": F.when(F.col("action") == "skip", F.lit(0)).otherwise(F.col("_width"))})
@@ -204,12 +207,30 @@ class KeyedStore:
             slices = kept if slices is None else slices.union(kept)
         return self._read(slices.distinct())
 
-    def _bounded(self, search: Search) -> Column:
-        """The bounding interval on the senior limb, for Parquet's statistics."""
+    def _regions(self, search: Search, strategy: str, ratio: float) -> list[tuple[int, int]]:
+        """Key intervals outside of which nothing matches: the bounds, or for points the regions above the threshold.
+
+        Gaps above the strategy's threshold are left out, as far as ``REGION_BITS`` free bits allow, so
+        that Parquet skips row groups that stand in a gap; smaller gaps are scanned.
+        """
+        bounds = search.bounds()
+        if strategy == "crawl" or not search.point or not search.mask or self.layout.limb_count > 1 or self.listed() is None:
+            return [bounds]
+        t = 0 if strategy == "leap" else costs.choose_threshold(search, sum(n for _, n, _, _ in self.listed()), ratio).threshold
+        free = ones(search.n) & ~search.mask
+        while (free >> t).bit_count() > REGION_BITS:
+            t += 1
+        clipped = [(max(a, bounds[0]), min(b, bounds[1])) for a, b in crawl_intervals(search, t)]
+        return [(a, b) for a, b in normal_intervals(clipped)]
+
+    def _tested(self, search: Search, filters: dict[str, Filter], strategy: str = "leap", ratio: float = 1.0) -> Column:
+        """The exact condition on the columns, and the key intervals on the senior limb: both for Parquet's statistics."""
         if search.empty:
             return F.lit(False)
-        lo, hi = search.bounds()
-        return F.col("k0").between(self.layout.limbs(lo)[0], self.layout.limbs(hi)[0])
+        near = F.lit(False)
+        for lo, hi in self._regions(search, strategy, ratio):
+            near = near | F.col("k0").between(self.layout.limbs(lo)[0], self.layout.limbs(hi)[0])
+        return condition(self.layout, filters) & near
 
     @property
     def attributes(self) -> list[str]:
@@ -219,7 +240,7 @@ class KeyedStore:
     def where(self, columns: list[str] | None = None, strategy: str = "leap", ratio: float = 1.0, **filters: Filter) -> DataFrame:
         """The matching rows: slices by strategy, key bounds and exact conditions pushed to the scan."""
         search = self.search(**filters)
-        out = self._in([search], strategy, ratio).where(self._bounded(search) & condition(self.layout, filters))
+        out = self._in([search], strategy, ratio).where(self._tested(search, filters, strategy, ratio))
         return out.select(*(self.attributes if columns is None else columns))
 
     def count_where(self, strategy: str = "leap", ratio: float = 1.0, **filters: Filter) -> DataFrame:
@@ -227,7 +248,7 @@ class KeyedStore:
         search = self.search(**filters)
         if not all(self.layout.attribute(a).codec.exact for a in filters):
             return self.where([], strategy, ratio, **filters).agg(F.count(F.lit(1)).alias("count"))
-        tested = self._bounded(search) & condition(self.layout, filters)
+        tested = self._tested(search, filters, strategy, ratio)
         found = self.decisions(search, strategy, ratio)
         if found is not None:
             whole = sum(n for _, n, action in found if action == "whole")
@@ -252,6 +273,28 @@ class KeyedStore:
         one = rows.agg(*(F.count_if(condition(self.layout, f)).alias(name) for name, f in searches.items()))
         return one.select(F.explode(F.array(*(F.struct(F.lit(n).alias("name"), F.col(n).alias("count")) for n in searches))).alias("x")).select("x.*")
 
+    def count_shortened(self, **filters: Filter) -> DataFrame:
+        """``count`` of a point search's matches, testing of each key only the junior bits in which its slice's keys differ.
+
+        The senior bits that all keys of a slice share are known from the catalog and decide there: a
+        slice that disagrees with them is skipped, one without masked bits left is counted whole.
+        """
+        search = self.search(**filters)
+        if self.layout.limb_count > 1 or not search.point:
+            raise ValueError("points on keys of one limb")
+        mask, pattern = search.point
+        kept = self.classify(search).where("action <> 'skip'").select("slice", "rows", "action", columns.low_ones(F.col("n_eff")).alias("low"))
+        held = F.lit(mask).cast("bigint").bitwiseAND(F.col("low"))
+        tested = F.col("k0").bitwiseAND(held) == F.lit(pattern).cast("bigint").bitwiseAND(held)
+        some = self.data.select("slice", "k0").join(kept.where("action = 'crawl'"), "slice").where(tested).agg(F.count(F.lit(1)).alias("n"))
+        return some.union(kept.where("action = 'whole'").agg(F.sum("rows").alias("n"))).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("count"))
+
+    def shortened(self) -> DataFrame:
+        """``slice``, ``rows``, and the key bits that its keys share (``prefix``) and that are left (``suffix``)."""
+        k = self.layout.limb_count
+        width = columns.width_of(*([F.col(f"{side}{i}") for i in range(k)] for side in ("lo", "hi")))
+        return self.catalog.select("slice", "rows", (F.lit(self.layout.n) - width).alias("prefix"), width.alias("suffix"))
+
     def crosstab(self, a: str, b: str, **filters: Filter) -> DataFrame:
         """Rows by two attributes under filters: ``a``, ``b``, ``count``."""
         return self.where([a, b], **filters).groupBy(a, b).agg(F.count(F.lit(1)).alias("count"))
@@ -270,7 +313,7 @@ class KeyedStore:
                 if need <= 0:
                     break
             rows = self._numbered(numbers)
-        return rows.where(self._bounded(search) & condition(self.layout, filters)).orderBy(*self.layout.key_columns).limit(k)
+        return rows.where(self._tested(search, filters)).orderBy(*self.layout.key_columns).limit(k)
 
     def io_report(self, search: Search) -> DataFrame:
         """Slices and rows by action."""
