@@ -151,7 +151,8 @@ def cursor_counters(store: KeyedStore, search: Search, threshold: int, threshold
 
     counted = ("matched", "scans", "jumps", "tests", "hints")
     walked = rows.mapInArrow(run, "slice int, " + ", ".join(f"{c} bigint" for c in counted))
-    return walked.groupBy("slice").agg(*(F.sum(c).alias(c) for c in counted))
+    of_slice = walked.groupBy("slice").agg(*(F.sum(c).alias(c) for c in counted))
+    return store.catalog.select("slice").join(of_slice, "slice", "left").na.fill(0)  # no row between the bounds: nothing done
 
 
 def marked(df: DataFrame, key_columns: list[str], search: Search, others: list[str], mismatch: str, following: list[str]) -> DataFrame:

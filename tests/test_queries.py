@@ -4,7 +4,7 @@ import pytest
 from keyhop import queries as engine
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = ["count_p1_p_brand", "count_prs_0", "count_fact10_ppp_0", "contest_q08", "hybrid_mixed", "hybrid_cluster_end_set", "cooperative_counts", "crosstab_where", "sql_front_end", "split_values_count", "stream_keyed_store", "base_materialized_cube", "op_join_as_of", "op_window_ranks", "op_agg_cube", "op_scalar_bits", "same_bag"]
+NAMES = ["crawl_point", "leap_mixed", "hybrid_set", "threshold_sweep_range", "lacuna_lengths", "cofrequency", "first_in_key_order", "stream_tumbling", "stream_session", "points_fact5", "store_variants", "shortened_keys_count", "op_agg_grouped_function", "count_p1_p_brand", "count_prs_0", "count_fact10_ppp_0", "contest_q08", "hybrid_mixed", "hybrid_cluster_end_set", "cooperative_counts", "crosstab_where", "sql_front_end", "split_values_count", "stream_keyed_store", "base_materialized_cube", "op_join_as_of", "op_window_ranks", "op_agg_cube", "op_scalar_bits", "same_bag"]
 
 
 @pytest.fixture(scope="module")

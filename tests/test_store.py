@@ -7,11 +7,12 @@ from pyspark.sql import functions as F
 from keyhop import workload as wl
 from keyhop.functions.bits import joined
 from keyhop.functions.dictionary import build_dictionary
-from keyhop.operators.race import average_counters, cursor_counters, declarative_counters, point_counters, walk
+from keyhop.operators.race import Cursor, average_counters, cursor_counters, declarative_counters, point_counters, walk
 from keyhop.plans import costs
 from keyhop.plans.filters import AnyOf, Between, Eq, In, IsNull, NotIn, NotNull, Prefix, condition
 from keyhop.plans.search import Point, Search, next_match_udf
 from keyhop.sources.facts import FACTS, fact
+from keyhop.sources import store as store_module
 from keyhop.sources.store import KeyedStore
 
 FILTERS = [
@@ -63,6 +64,62 @@ def test_strategies_take_the_same_rows_and_both_executors_agree(five):
         assert sliced == len(taken)
 
 
+@pytest.mark.parametrize("listed", [4096, 3])
+@pytest.mark.parametrize("filters", FILTERS[:4])
+def test_counts_by_strategy_with_listed_and_joined_catalogs(spark, sf, monkeypatch, listed, filters):
+    """A catalog above the listed size is decided on by column expressions and joined; answers are the same."""
+    monkeypatch.setattr(store_module, "LISTED_SLICES", listed)
+    store = KeyedStore.open(spark, wl.store(spark, sf, "fact5").path)
+    assert (store.listed() is None) == (listed == 3)
+    rows = fact(spark, sf, "fact5").where(condition(store.layout, filters))
+    want = rows.count()
+    for strategy in ("crawl", "leap", "hybrid"):
+        df = store.count_where(strategy, 1e-3, **filters)
+        assert "Python" not in df._jdf.queryExecution().toString()
+        assert df.first()[0] == want
+    assert [r["k0"] for r in store.first(5, **filters).collect()] == [r["k0"] for r in store.layout.encode(rows).orderBy("k0").limit(5).collect()]
+
+
+def test_decisions_equal_the_classified_catalog(five):
+    for filters in FILTERS:
+        search = five.search(**filters)
+        actions = {r["slice"]: r["action"] for r in five.classify(search).where("action <> 'skip'").collect()}
+        assert actions == {n: a for n, _, a in five.decisions(search)}
+        crawled, hybrid = ({n for n, _, _ in five.decisions(search, x, 1e-9)} for x in ("crawl", "hybrid"))
+        assert set(actions) <= hybrid <= crawled or not crawled
+
+
+def test_cursor_over_batches_walks_as_the_scalar_one(five):
+    import numpy as np
+
+    keys = keys_of(five)
+    for filters in FILTERS[:4]:
+        search = five.search(**filters)
+        lo, hi = search.bounds()
+        inside = [k for k in keys if lo <= k <= hi]
+        y = np.array([search.mismatch(k) for k in inside])
+        h = np.array([search.next_match(k) for k in inside])
+        low = search.mask & -search.mask
+        for t, above in ((0, None), (9, None), (20, 12), (five.layout.n, None)):
+            cursor = Cursor(t, above, True)
+            for part in np.array_split(np.arange(len(inside)), 7):
+                k = np.array(inside, np.int64)[part]
+                cursor.walk([k], y[part], [h[part]], [k // low])
+            _, c = walk(keys, search, t, above)
+            assert (cursor.matched, cursor.scans, cursor.jumps) == (c.matched, c.scans, c.jumps)
+            assert cursor.scans + cursor.jumps <= cursor.tests <= cursor.scans + cursor.jumps + cursor.matched
+
+
+def test_regions_are_pushed_to_the_scan(spark, five):
+    spark.conf.set("spark.sql.maxMetadataStringLength", "5000")
+    plan = five.where(["l_suppkey"], "leap", l_quantity=Eq(17.0), l_discount=Eq(0.05))._jdf.queryExecution().toString()
+    pushed = plan[plan.index("PushedFilters: [") :]
+    assert "Or(" in pushed and "l_discount" in pushed and "k0" in pushed
+    dated = five.where(["l_suppkey"], l_shipdate=Between(dt.date(1996, 1, 1), dt.date(1996, 2, 1)))._jdf.queryExecution().toString()
+    spark.conf.unset("spark.sql.maxMetadataStringLength")
+    assert "GreaterThanOrEqual(l_shipdate" in dated
+
+
 def test_average_over_patterns(five):
     keys, n, mask = keys_of(five), five.layout.n, five.layout.mask("l_discount")
     t = costs.threshold_cardinality(n, len(keys), 0.5, mask)
