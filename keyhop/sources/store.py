@@ -83,6 +83,7 @@ class KeyedStore:
     path: str
     layout: KeyLayout
     _listed: tuple | None = field(default=None, repr=False)
+    _frames: dict[str, DataFrame] = field(default_factory=dict, repr=False)
 
     @classmethod
     def build(cls, df: DataFrame, layout: KeyLayout, path: str, slices: int = 64, aligned: bool = False, row_group_rows: int | None = None, mode: str = "overwrite") -> KeyedStore:
@@ -101,14 +102,20 @@ class KeyedStore:
     def open(cls, spark: SparkSession, path: str) -> KeyedStore:
         return cls(spark, path, KeyLayout.from_json(spark.read.text(f"{path}/layout").first()[0]))
 
+    def _read_once(self, name: str) -> DataFrame:
+        """Files are listed and the schema is read once for each store object: later queries plan at once."""
+        if name not in self._frames:
+            self._frames[name] = self.spark.read.parquet(f"{self.path}/{name}")
+        return self._frames[name]
+
     @property
     def data(self) -> DataFrame:
-        return self.spark.read.parquet(f"{self.path}/data")
+        return self._read_once("data")
 
     @property
     def catalog(self) -> DataFrame:
         """``slice``, ``rows``, and the limbs of the least and greatest key."""
-        return self.spark.read.parquet(f"{self.path}/catalog")
+        return self._read_once("catalog")
 
     def write_catalog(self) -> None:
         """From the written keys alone; the other columns are not read."""
