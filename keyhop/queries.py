@@ -193,8 +193,9 @@ def verdicts(spark: SparkSession, sf: str) -> DataFrame:
     for a in FACTS["fact5"]:
         m = s.layout.mask(a)
         x, y = float(costs.r1(m, n, c)), costs.r2(s.data, m, n)
-        out.append((a, m.bit_count(), x, y, costs.verdict(RATIO, x, y), costs.useful_bits(c, RATIO), costs.threshold_cardinality(n, c, RATIO, m), costs.break_even(RATIO)))
-    return _rows(spark, out, "attribute string, d int, r1 double, r2 double, leap_wins boolean, useful_bits double, threshold int, break_even double")
+        even = costs.even_enough(costs.region_sigma(s.data, m, n), m, n)
+        out.append((a, m.bit_count(), x, y, even, costs.verdict(RATIO, x, y), costs.useful_bits(c, RATIO), costs.threshold_cardinality(n, c, RATIO, m), costs.break_even(RATIO)))
+    return _rows(spark, out, "attribute string, d int, r1 double, r2 double, even_enough boolean, leap_wins boolean, useful_bits double, threshold int, break_even double")
 
 
 def lacuna_lengths(spark: SparkSession, sf: str) -> DataFrame:
