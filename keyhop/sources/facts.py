@@ -25,6 +25,9 @@ FACTS = {
     "ev5": ("user_id", "value", "day", "hour", "event_type"),
 }
 
+#: Dictionaries become literals of the layout, so they must be short; more values than this are refused.
+LONGEST_DICTIONARY = 4096
+
 #: The star join as SQL, for oracles and for the star baseline.
 STAR_SQL = """SELECT l.*, o.o_custkey, o.o_orderdate, o.o_orderstatus, o.o_orderpriority, c.c_nationkey, c.c_mktsegment, p.p_size, p.p_brand, p.p_type, s.s_nationkey
 FROM lineitem l JOIN orders o ON l.l_orderkey = o.o_orderkey JOIN customer c ON o.o_custkey = c.c_custkey JOIN part p ON l.l_partkey = p.p_partkey JOIN supplier s ON l.l_suppkey = s.s_suppkey"""
@@ -64,12 +67,14 @@ def codecs(df: DataFrame, names: tuple[str, ...], bins: int = 64) -> list[Attrib
     """Attributes with widths from the data: one aggregation for all numeric ones, one distinct for each small dictionary."""
     number = lambda c: F.to_date(c) if KINDS[c] == "days" else F.col(c)
     plain = [c for c in names if KINDS[c] != "dict"]
-    ends = df.agg(*(F.min(number(c)).alias(f"lo_{c}") for c in plain), *(F.max(number(c)).alias(f"hi_{c}") for c in plain), *(F.array_sort(F.collect_set(c)).alias(f"d_{c}") for c in names if KINDS[c] == "dict")).first()
+    ends = df.agg(*(F.min(number(c)).alias(f"lo_{c}") for c in plain), *(F.max(number(c)).alias(f"hi_{c}") for c in plain), *(F.slice(F.array_sort(F.collect_set(c)), 1, LONGEST_DICTIONARY + 1).alias(f"d_{c}") for c in names if KINDS[c] == "dict")).first()
     out = []
     for c in names:
         kind = KINDS[c]
         if kind == "dict":
             values = tuple(ends[f"d_{c}"])
+            if len(values) > LONGEST_DICTIONARY:
+                raise ValueError(f"{c} has more than {LONGEST_DICTIONARY} values: number them by functions.dictionary and a join")
             out.append(Attribute(c, Codec("dict", values=values, size=len(values))))
             continue
         lo, hi = ends[f"lo_{c}"], ends[f"hi_{c}"]
