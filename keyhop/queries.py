@@ -401,7 +401,7 @@ def every_combination(spark: SparkSession, sf: str) -> DataFrame:
     listed, layout = s.listed(), s.layout
     rows = [("".join(kinds), ",".join(names)) for k in (1, 2, 3) for names in itertools.combinations(FACTS["fact16"], k) for kinds in itertools.product("PRS", repeat=k)]
     total = sum(r[1] for r in listed)
-    local = KeyedStore(None, "", layout, (listed,))
+    local = KeyedStore(None, "", layout, _listed=(listed,))
 
     def run(batches):
         import random

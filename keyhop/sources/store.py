@@ -24,6 +24,8 @@ from keyhop.plans.search import Search, crawl_intervals, normal_intervals
 LISTED_SLICES = 4096
 #: A point search names at most 2^5 key intervals to the scan.
 REGION_BITS = 5
+#: About what Parquet's default row groups of 128 MB hold.
+ROW_GROUP_ROWS = 1_000_000
 
 
 def slice_frame(df: DataFrame, layout: KeyLayout, slices: int, aligned: bool = False, depth: int = 12) -> DataFrame:
@@ -82,6 +84,7 @@ class KeyedStore:
     spark: SparkSession
     path: str
     layout: KeyLayout
+    row_group_rows: int = ROW_GROUP_ROWS
     _listed: tuple | None = field(default=None, repr=False)
     _frames: dict[str, DataFrame] = field(default_factory=dict, repr=False)
 
@@ -94,7 +97,7 @@ class KeyedStore:
             writer = writer.option("parquet.block.row.count.limit", row_group_rows)
         writer.parquet(f"{path}/data")
         spark.createDataFrame([(layout.to_json(),)], "layout string").coalesce(1).write.mode("overwrite").text(f"{path}/layout")
-        out = cls(spark, path, layout)
+        out = cls(spark, path, layout, row_group_rows or ROW_GROUP_ROWS)
         out.write_catalog()
         return out
 
@@ -217,15 +220,20 @@ class KeyedStore:
     def _regions(self, search: Search, strategy: str, ratio: float) -> list[tuple[int, int]]:
         """Key intervals outside of which nothing matches: the bounds, or for points the regions above the threshold.
 
-        Gaps above the strategy's threshold are left out, as far as ``REGION_BITS`` free bits allow, so
-        that Parquet skips row groups that stand in a gap; smaller gaps are scanned.
+        Gaps above the strategy's threshold are left out, as far as ``REGION_BITS`` free bits allow and
+        as regions hold a row group on average, so that Parquet skips row groups that stand in a gap;
+        smaller gaps are scanned.
         """
         bounds = search.bounds()
         if strategy == "crawl" or not search.point or not search.mask or self.layout.limb_count > 1 or self.listed() is None:
             return [bounds]
-        t = 0 if strategy == "leap" else costs.choose_threshold(search, sum(n for _, n, _, _ in self.listed()), ratio).threshold
+        total = sum(n for _, n, _, _ in self.listed())
+        t = 0 if strategy == "leap" else costs.choose_threshold(search, total, ratio).threshold
         free = ones(search.n) & ~search.mask
-        while (free >> t).bit_count() > REGION_BITS:
+        bits = min(REGION_BITS, (total // self.row_group_rows).bit_length())
+        if not bits:
+            return [bounds]
+        while (free >> t).bit_count() > bits:
             t += 1
         clipped = [(max(a, bounds[0]), min(b, bounds[1])) for a, b in crawl_intervals(search, t)]
         return [(a, b) for a, b in normal_intervals(clipped)]

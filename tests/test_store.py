@@ -110,7 +110,8 @@ def test_cursor_over_batches_walks_as_the_scalar_one(five):
             assert cursor.scans + cursor.jumps <= cursor.tests <= cursor.scans + cursor.jumps + cursor.matched
 
 
-def test_regions_are_pushed_to_the_scan(spark, five):
+def test_regions_are_pushed_to_the_scan(spark, sf, five):
+    five = wl.store(spark, sf, "fact5", slices=4, row_group_rows=500)
     spark.conf.set("spark.sql.maxMetadataStringLength", "5000")
     plan = five.where(["l_suppkey"], "leap", l_quantity=Eq(17.0), l_discount=Eq(0.05))._jdf.queryExecution().toString()
     pushed = plan[plan.index("PushedFilters: [") :]
