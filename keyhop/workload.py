@@ -151,12 +151,12 @@ def contest() -> list[Workload]:
     return [Workload(f"q{i + 1:02d}", "fact18", x) for i, x in enumerate(f)]
 
 
-def store(spark: SparkSession, sf_dir: str, name: str, slices: int = 32, layout: str = "interleave", aligned: bool = False, row_group_rows: int | None = None) -> KeyedStore:
+def store(spark: SparkSession, sf_dir: str, name: str, slices: int = 32, layout: str = "interleave", aligned: bool = False, row_group_rows: int | None = None, keys_only: bool = False) -> KeyedStore:
     """The fact table's store, built once for each session, table and shape."""
-    key = (spark.sparkContext.applicationId, sf_dir, name, slices, layout, aligned, row_group_rows)
+    key = (spark.sparkContext.applicationId, sf_dir, name, slices, layout, aligned, row_group_rows, keys_only)
     if key not in _STORES:
         df = fact(spark, sf_dir, name)
-        _STORES[key] = KeyedStore.build(df, layout_of(df, name, layout), Scratch(spark, f"store-{name}").root, slices, aligned, row_group_rows)
+        _STORES[key] = KeyedStore.build(df, layout_of(df, name, layout), Scratch(spark, f"store-{name}").root, slices, aligned, row_group_rows, kept=[] if keys_only else None)
     return _STORES[key]
 
 
